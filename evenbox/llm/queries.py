@@ -17,6 +17,18 @@ def op1_huffman_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_file_digest(_table(spark, sf_dir, "documents"))
 
 
+def op2_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from evenbox.llm.ngram_jaccard import jaccard_components
+
+    return jaccard_components(_table(spark, sf_dir, "documents"), k=4, num=85, den=100)
+
+
+def op3_best_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from evenbox.llm.best_fit import pack_documents
+
+    return pack_documents(_table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {name: f for name, f in globals().items() if name.startswith("op") and callable(f)}
 

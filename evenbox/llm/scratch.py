@@ -7,6 +7,7 @@ of this process is made and registered as the checkpoint directory.
 from __future__ import annotations
 
 import atexit
+import contextlib
 import tempfile
 import uuid
 
@@ -42,6 +43,25 @@ def _quiet_delete(spark: SparkSession, path: str) -> None:
         pass
 
 
+#: bytes of a batch that goes to a Python worker at once, however long its rows are
+BATCH_BYTES = 8 << 20
+
+
+@contextlib.contextmanager
+def small_batches(spark: SparkSession, most: int = BATCH_BYTES):
+    """Plans made inside hand rows to Python workers in batches of bounded bytes."""
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    before = spark.conf.get(key, None)
+    spark.conf.set(key, str(most))
+    try:
+        yield
+    finally:
+        if before is None:
+            spark.conf.unset(key)
+        else:
+            spark.conf.set(key, before)
+
+
 class Scratch:
     """A private folder below the shared one: ``write`` a frame and get it back without lineage."""
 
@@ -54,7 +74,8 @@ class Scratch:
         return f"{self.path}/{name}"
 
     def write(self, df: DataFrame, name: str, codec: str = "zstd") -> DataFrame:
-        df.write.mode("overwrite").option("compression", codec).parquet(self.at(name))
+        with small_batches(self.spark):
+            df.write.mode("overwrite").option("compression", codec).parquet(self.at(name))
         return self.read(name, df.schema)
 
     def read(self, name: str, schema=None) -> DataFrame:
