@@ -35,6 +35,18 @@ def op4_fuzzy_lines(spark: SparkSession, sf_dir: str) -> DataFrame:
     return repeated_lines(_table(spark, sf_dir, "documents"))
 
 
+def op5_suffix_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from evenbox.llm.suffix_repeats import judge_documents
+
+    return judge_documents(_table(spark, sf_dir, "documents"))
+
+
+def op7_edit_matching(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from evenbox.llm.edit_matching import benchmark_matches
+
+    return benchmark_matches(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {name: f for name, f in globals().items() if name.startswith("op") and callable(f)}
 
