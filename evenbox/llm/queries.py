@@ -41,15 +41,29 @@ def op5_suffix_repeats(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judge_documents(_table(spark, sf_dir, "documents"))
 
 
+def op6_warc_dictionary(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from evenbox.llm.warc_archives import archive_digest
+
+    return archive_digest(_table(spark, sf_dir, "pages"))
+
+
 def op7_edit_matching(spark: SparkSession, sf_dir: str) -> DataFrame:
     from evenbox.llm.edit_matching import benchmark_matches
 
     return benchmark_matches(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"))
 
 
+def op9_lookup_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from evenbox.llm.lookup_shards import place_rows
+
+    return place_rows(_table(spark, sf_dir, "documents").select("doc_id"), "doc_id")
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {name: f for name, f in globals().items() if name.startswith("op") and callable(f)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    from evenbox.llm.lookup_shards import placement_sql
+
+    return {"op9_lookup_shards": placement_sql("documents", "doc_id")}
