@@ -53,6 +53,12 @@ def op7_edit_matching(spark: SparkSession, sf_dir: str) -> DataFrame:
     return benchmark_matches(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"))
 
 
+def op8_bloom_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from evenbox.llm.bloom_lm import score_documents
+
+    return score_documents(_table(spark, sf_dir, "documents"))
+
+
 def op9_lookup_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     from evenbox.llm.lookup_shards import place_rows
 
