@@ -65,8 +65,20 @@ def op9_lookup_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return place_rows(_table(spark, sf_dir, "documents").select("doc_id"), "doc_id")
 
 
+def op10_edit_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from evenbox.llm.edit_counts import edited_counts
+
+    return edited_counts(_table(spark, sf_dir, "documents"))
+
+
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {name: f for name, f in globals().items() if name.startswith("op") and callable(f)}
+    return {name: f for name, f in globals().items() if callable(f) and (name.startswith("op") or name == "pipeline")}
 
 
 def oracle_sql() -> dict[str, str]:
