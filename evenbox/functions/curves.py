@@ -89,5 +89,5 @@ def hilbert_sql(x: str, y: str, bits: int, source: str, keep: str) -> str:
 UNION ALL SELECT {keep},
 CASE WHEN (py >> b) & 1 = 0 THEN CASE WHEN (px >> b) & 1 = 1 THEN ((1 << b) - 1) - (py & ((1 << b) - 1)) ELSE py & ((1 << b) - 1) END ELSE px & ((1 << b) - 1) END,
 CASE WHEN (py >> b) & 1 = 0 THEN CASE WHEN (px >> b) & 1 = 1 THEN ((1 << b) - 1) - (px & ((1 << b) - 1)) ELSE px & ((1 << b) - 1) END ELSE py & ((1 << b) - 1) END,
-hkey * 4 + ((3 * ((px >> b) & 1)) # ((py >> b) & 1)), b - 1 FROM walk WHERE b >= 0)
+hkey * 4 + xor(3 * ((px >> b) & 1), (py >> b) & 1), b - 1 FROM walk WHERE b >= 0)
 SELECT {keep}, hkey FROM walk WHERE b = -1"""

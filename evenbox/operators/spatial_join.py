@@ -101,7 +101,8 @@ def _swept(a: DataFrame, b: DataFrame, left_keys: Sequence[str], right_keys: Seq
         left, right = x.iloc[i[ok]][list(left_keys)].reset_index(drop=True), y.iloc[j[ok]][list(right_keys)].reset_index(drop=True)
         return pd.concat([left, right], axis=1)
 
-    return a.groupBy("pair").cogroup(b.groupBy("pair")).applyInPandas(sweep, schema)
+    left, right = a.select("pair", *left_keys, *LO, *HI), b.select(F.col("pair").alias("pair_b"), *right_keys, *LO, *HI)
+    return left.groupBy("pair").cogroup(right.groupBy("pair_b")).applyInPandas(sweep, schema)
 
 
 def join_copartitioned(left: DataFrame, right: DataFrame, tree: Tree, left_keys: Sequence[str], right_keys: Sequence[str], kind: str = "intersects") -> DataFrame:
