@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
-from evenbox.cases import method_cases, query_cases  # noqa: F401
+from evenbox.cases import engine_cases, method_cases, query_cases  # noqa: F401
 from evenbox.operators import quality, router
 from evenbox.operators.learn import learn
 from evenbox.registry import QUERIES, SQL, Query
