@@ -206,8 +206,6 @@ def agg_percentile(spark, sf_dir):
 
 # --- windows, sorts, sets ---------------------------------------------------------------------------
 
-_BY_CUSTOMER = Window.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey")
-
 
 @case("win_rank", "SELECT o_orderkey, rank() OVER w AS r, dense_rank() OVER w AS d FROM orders WINDOW w AS (PARTITION BY o_orderpriority ORDER BY CAST(o_orderdate AS DATE))")
 def win_rank(spark, sf_dir):
@@ -253,7 +251,8 @@ def topk_parts(spark, sf_dir):
 
 @case("topk_per_group", "SELECT o_custkey, o_orderkey FROM orders QUALIFY row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) <= 2")
 def topk_per_group(spark, sf_dir):
-    return T.load(spark, sf_dir, "orders").withColumn("r", F.row_number().over(_BY_CUSTOMER)).where("r <= 2").select("o_custkey", "o_orderkey")
+    order = Window.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey")
+    return T.load(spark, sf_dir, "orders").withColumn("r", F.row_number().over(order)).where("r <= 2").select("o_custkey", "o_orderkey")
 
 
 @case("curve_sort", f"SELECT count(*) AS n, 0 AS unsorted FROM ({T.points_sql('lineitem')})")
@@ -398,7 +397,7 @@ def stream_route(spark, sf_dir):
     return S.run_to_table(routed.select("event_id", "part_id"), _name(), checkpoint).groupBy("part_id").agg(F.count("*").alias("n"), F.sum("event_id").alias("ids"))
 
 
-@case("stream_hist_tumbling", f"SELECT CAST(x // 86400 AS BIGINT) * 86400 AS s, CAST(floor(y / 50) AS BIGINT) AS cell, count(*) * 100 AS bytes, count(*) AS n FROM ({T.points_sql('events')}) GROUP BY 1, 2")
+@case("stream_hist_tumbling", f"SELECT CAST(x AS BIGINT) // 86400 * 86400 AS s, CAST(floor(y / 50) AS BIGINT) AS cell, count(*) * 100 AS bytes, count(*) AS n FROM ({T.points_sql('events')}) GROUP BY 1, 2")
 def stream_hist_tumbling(spark, sf_dir):
     stream, checkpoint = _stream(spark, sf_dir)
     counted = S.histogram_stream(stream, F.floor(F.col("y") / 50))

@@ -7,6 +7,7 @@ from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import IntegerType, StructField, StructType
 
 from evenbox.functions import geom
 from evenbox.functions.curves import lattice, z_key
@@ -24,10 +25,9 @@ def write_index(df: DataFrame, layout: Layout | CurveLayout, path: str, axes: Se
     near = z_key([lattice(F.col(a), ends[f"lo_{a}"] or 0.0, ends[f"hi_{a}"] or 1.0, 12) for a in axes], 12) if len(axes) < 6 else F.col(axes[0])
     placed = routed.repartitionById(parts, F.col("part_id") + 1).withColumn("_near", near).sortWithinPartitions("part_id", "_near").drop("_near")
     placed.write.mode("overwrite").partitionBy("part_id").parquet(f"{path}/data")
-    spark = df.sparkSession
-    stored = spark.read.parquet(f"{path}/data")
-    quality.manifest(stored, axes, block).write.mode("overwrite").parquet(f"{path}/manifest")
-    return Index(spark, path, tuple(axes))
+    index = Index(df.sparkSession, path, tuple(axes), StructType([*df.schema.fields, StructField("part_id", IntegerType())]))
+    quality.manifest(index.data(), axes, block).write.mode("overwrite").parquet(f"{path}/manifest")
+    return index
 
 
 @dataclass
@@ -35,9 +35,12 @@ class Index:
     spark: SparkSession
     path: str
     axes: tuple[str, ...] = ("x", "y")
+    #: of the stored records; left out, it is read from the files
+    schema: StructType | None = None
 
     def data(self) -> DataFrame:
-        return self.spark.read.parquet(f"{self.path}/data")
+        reader = self.spark.read
+        return (reader.schema(self.schema) if self.schema else reader).parquet(f"{self.path}/data")
 
     def manifest(self) -> DataFrame:
         return self.spark.read.parquet(f"{self.path}/manifest")
