@@ -11,7 +11,7 @@ those links are found; only then do variants of one key that are still in differ
 One occurrence of each connected group stays: the first by (doc_id, line number). Text is not shuffled;
 that of the variants to verify is read again.
 
-Votes: a word's hash is spread to eight longs of eight one-byte lanes and summed over at most 127 words,
+Votes: a word's hash is spread to eight longs of eight one-byte lanes and summed over at most 64 words,
 then the lanes of a line's parts are added up. So a word costs one hash and eight additions.
 """
 
@@ -31,7 +31,8 @@ MAX_FLIPS = 3
 BLOCKS = 5
 #: a set of keys up to this size goes to every executor, a larger one is joined by shuffle
 BROADCAST_KEYS = 1_000_000
-_PART = 127
+#: a part of a line is 2^6 words, so a lane's sum stays below 128
+_PART = 6
 #: every eighth bit of a long, the lanes' lowest bits
 _LANES = 0x0101010101010101
 
@@ -59,7 +60,7 @@ def hashed_lines(docs: DataFrame) -> DataFrame:
     own = ["row", "doc_id", "line", "vid", "size"]
     lines = document_lines(docs).select("row", "doc_id", "line", F.xxhash64("norm").alias("vid"), F.length("norm").alias("size"), F.split("norm", " ").alias("words"))
     words = lines.select(*own, F.posexplode("words").alias("at", "word"))
-    hashed = words.select(*own, F.floor(F.col("at") / _PART).alias("part"), F.xxhash64("word").alias("w"))
+    hashed = words.select(*own, F.shiftright("at", _PART).alias("part"), F.xxhash64("word").alias("w"))
     sums = [F.sum(_spread(F.shiftrightunsigned("w", 8 * i).bitwiseAND(F.lit(255)))).alias(f"s{i}") for i in range(8)]
     parts = hashed.groupBy(*own, "part").agg(F.count("*").alias("n"), *sums)
     lane = lambda i, k: F.shiftrightunsigned(f"s{i}", 8 * k).bitwiseAND(F.lit(255))
@@ -79,9 +80,8 @@ def block_keys(h: Column, max_flips: int, blocks: int) -> Column:
 
 def _similar(a: str, b: str, floor: float) -> Column:
     """Edit similarity 1 - distance / longer length of at least ``floor``; Spark stops at the limit."""
-    longer = F.greatest(F.length(a), F.length(b))
-    limit = F.floor(longer * (1 - floor) + 1e-9).cast("int")
-    return F.expr(f"levenshtein({a}, {b})") <= limit
+    limit = f"CAST(floor(greatest(length({a}), length({b})) * {1 - floor} + 1e-9D) AS INT)"
+    return F.expr(f"levenshtein({a}, {b}, {limit}) >= 0")
 
 
 def similar_variants(variants: DataFrame, docs: DataFrame, scratch: Scratch, min_similarity: float, max_flips: int, blocks: int) -> DataFrame:
