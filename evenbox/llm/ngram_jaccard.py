@@ -226,48 +226,87 @@ def jaccard_components(docs: DataFrame, k: int = 5, num: int = 80, den: int = 10
     spark = docs.sparkSession
     scratch = Scratch(spark, "jaccard")
     docs = docs.select("doc_id", "text")
-    sets = scratch.write(describe(docs, rarity_classes(docs, k), k, num, den), "sets")
     named = ["n", "fp1", "fp2"]
-    kinds = scratch.write(sets.where("n > 0").groupBy(*named).agg(F.min("doc_id").alias("rep")), "kinds")
+    sets = scratch.write(describe(docs, rarity_classes(docs, k), k, num, den), "sets")
+    light = scratch.write(sets.select("doc_id", *named), "light")
+    kinds = scratch.write(light.where("n > 0").groupBy(*named).agg(F.min("doc_id").alias("rep")), "kinds")
     reps = sets.join(kinds.select(F.col("rep").alias("doc_id")), "doc_id", "left_semi").dropDuplicates(["doc_id"])
     reps = scratch.write(reps, "reps")
+    scratch.drop("sets")
 
     # step 1: inside groups of similar documents
     members = [similar_groups(reps, j, group) for j in (0, 1)]
-    members = members[0].unionByName(members[1])
-    members = scratch.write(members.withColumn("comp", F.col("doc_id")), "similar")
+    members = scratch.write(members[0].unionByName(members[1]).withColumn("comp", F.col("doc_id")), "similar")
     crowded = members.groupBy("g").count().where("count > 1").select(F.col("g").alias("g1"), F.lit(None).cast("long").alias("g2"))
     links = link_groups(docs, members, crowded, scratch, "near", k, num, den)
     first = scratch.write(connected_components(links, scratch, "first"), "first")
 
     # step 2: the token-group matrix over what is still apart
     width = first.groupBy("root").agg((F.floor((F.count("*") - 1) / group) + 1).alias("parts"))
-    joined = first.join(width, "root").select(F.col("node").alias("doc_id"), F.col("root").alias("comp"), F.xxhash64(F.lit("component"), "root").alias("e"), F.struct("root", F.pmod(F.xxhash64("node"), "parts").alias("part")).alias("chunk"))
-    lone = scratch.read("similar", members.schema).where(F.shiftrightunsigned("g", 58) == 0).join(first.select(F.col("node").alias("doc_id")), "doc_id", "left_anti")
-    chunk = lambda a, b: F.xxhash64(a, b)
-    placed = joined.select("doc_id", "comp", "e", chunk("chunk.root", "chunk.part").alias("g")).unionByName(lone.select("doc_id", "comp", F.col("g").alias("e"), "g"))
+    joined = first.join(width, "root").select(F.col("node").alias("doc_id"), F.col("root").alias("comp"), F.xxhash64(F.lit("component"), "root").alias("e"), F.xxhash64("root", F.pmod(F.xxhash64("node"), "parts")).alias("g"))
+    lone = members.where(F.shiftrightunsigned("g", 58) == 0).join(first.select(F.col("node").alias("doc_id")), "doc_id", "left_anti").select("doc_id", "comp", F.col("g").alias("e"), "g")
+    placed = joined.unionByName(lone).join(reps.select("doc_id", "n"), "doc_id")
     placed = scratch.write(placed, "placed")
-    rows = reps.select("doc_id", "n", F.explode("prefix").alias("token")).join(placed.select("doc_id", "e"), "doc_id")
-    matrix = rows.groupBy("token", "e").agg(F.min("n").alias("low"), F.max("n").alias("high"))
-    matrix = scratch.write(matrix, "matrix")
+    entities = scratch.write(placed.groupBy("e").agg(F.min("n").alias("low"), F.max("n").alias("high"), F.min("g").alias("g"), (F.max("g") > F.min("g")).alias("wide")), "entities")
+    rows = reps.select("doc_id", F.explode("prefix").alias("token")).join(placed.select("doc_id", "e"), "doc_id")
+    matrix = scratch.write(rows.select("token", "e").distinct(), "matrix")
     shared = matrix.groupBy("token").agg(F.min("e").alias("x"), F.max("e").alias("y")).where("x < y").select("token")
     matrix = scratch.write(matrix.join(shared, "token", "left_semi"), "shared")
     scratch.drop("matrix")
-    a, b = matrix.alias("a"), matrix.alias("b")
-    near = (F.col("a.token") == F.col("b.token")) & (F.col("a.e") < F.col("b.e")) & (F.col("a.high") * den >= F.col("b.low") * num) & (F.col("b.high") * den >= F.col("a.low") * num)
-    meet = a.join(b, near).select(F.col("a.e").alias("e1"), F.col("b.e").alias("e2")).distinct()
-    groups = placed.select("e", "g").distinct()
-    pairs = meet.join(groups.select(F.col("e").alias("e1"), F.col("g").alias("g1")), "e1").join(groups.select(F.col("e").alias("e2"), F.col("g").alias("g2")), "e2").select("g1", "g2")
-    links = link_groups(docs, placed.select("g", "doc_id", "comp"), pairs, scratch, "apart", k, num, den)
-
-    # inside the groups of step 1's first min-hash every link was looked for; what is left joins components
+    met = matrix.alias("a").join(matrix.alias("b"), (F.col("a.token") == F.col("b.token")) & (F.col("a.e") < F.col("b.e")))
+    met = met.groupBy(F.col("a.e").alias("e1"), F.col("b.e").alias("e2")).agg(F.count("*").alias("c"))
+    side = lambda i: entities.select(*[F.col(x).alias(f"{x}{i}") for x in ("e", "low", "high", "g", "wide")])
+    met = scratch.write(met.join(side(1), "e1").join(side(2), "e2").where(_reachable("low1", "high1", "low2", "high2", num, den)), "met")
+    member = placed.select("g", "doc_id", "comp")
+    # one pair of groups for each pair of entities: large families of near copies join here
+    links = link_groups(docs, member, met.select("g1", "g2"), scratch, "apart", k, num, den)
     comp = placed.select("doc_id", "comp")
-    across = links.join(comp.select(F.col("doc_id").alias("a"), F.col("comp").alias("ca")), "a").join(comp.select(F.col("doc_id").alias("b"), F.col("comp").alias("cb")), "b").select(F.col("ca").alias("a"), F.col("cb").alias("b"))
-    last = connected_components(across, scratch, "last")
+    edges = _between(links, comp)
+    # the other pairs of groups, document against group, of entities that are still apart
+    home = comp.join(scratch.write(connected_components(edges, scratch, "second"), "second"), comp.comp == F.col("node"), "left").select("doc_id", F.coalesce("root", "comp").alias("now"))
+    homes = placed.join(home, "doc_id").groupBy("e").agg(F.min("now").alias("a"), F.max("now").alias("z")).where("a = z").select("e", F.col("a").alias("home"))
+    wide = met.where("wide1 or wide2").select("e1", "e2", "g1", "g2")
+    wide = wide.join(homes.select(F.col("e").alias("e1"), F.col("home").alias("h1")), "e1", "left").join(homes.select(F.col("e").alias("e2"), F.col("home").alias("h2")), "e2", "left")
+    wide = scratch.write(wide.where(~F.coalesce(F.col("h1") == F.col("h2"), F.lit(False))).select("e1", "e2", F.col("g1").alias("done1"), F.col("g2").alias("done2")), "wide")
+    asked = wide.select(F.col("e1").alias("e")).unionByName(wide.select(F.col("e2").alias("e"))).distinct()
+    cells = scratch.write(reps.select("doc_id", F.explode("prefix").alias("token")).join(placed.join(asked, "e", "left_semi").select("doc_id", "e", "g", "n"), "doc_id").join(shared_tokens(matrix), "token", "left_semi"), "cells")
+    unions = cells.groupBy("token", F.col("e").alias("e2"), F.col("g").alias("g2")).agg(F.lit(1).alias("_"))
+    spans = placed.groupBy(F.col("g").alias("g2")).agg(F.min("n").alias("low2"), F.max("n").alias("high2"))
+    asks = cells.select("token", F.col("doc_id").alias("q"), F.col("e").alias("e1"), F.col("g").alias("g1"), F.col("n").alias("n1")).join(wide, "e1")
+    bound = asks.join(unions, ["token", "e2"]).groupBy("q", "g1", "n1", "done1", "done2", "g2").agg(F.count("*").alias("c")).join(spans, "g2")
+    bound = bound.where(_reachable("n1", "n1", "low2", "high2", num, den) & ~((F.col("g1") == F.col("done1")) & (F.col("g2") == F.col("done2"))))
+    own = lambda doc: F.xxhash64(F.lit("document"), doc)
+    pairs = scratch.write(bound.select(own(F.col("q")).alias("g1"), "g2", "q"), "bound")
+    single = pairs.select(F.col("g1").alias("g"), F.col("q").alias("doc_id")).distinct().join(comp, "doc_id").select("g", "doc_id", "comp")
+    more = link_groups(docs, member.unionByName(single), pairs.select("g1", "g2"), scratch, "wide", k, num, den)
+
+    last = connected_components(edges.unionByName(_between(more, comp)), scratch, "last")
     final = comp.join(last, comp.comp == last.node, "left").select(F.col("doc_id").alias("rep"), F.coalesce("root", "comp").alias("component_id"))
     copies = kinds.join(final, "rep").select(*named, "component_id")
-    light = sets.select("doc_id", *named)
     linked = light.where("n > 0").join(copies, named)
     bare = light.where("n = 0").withColumn("component_id", F.col("doc_id"))
     columns = ["doc_id", F.col("n").alias("n_shingles"), "component_id"]
+    scratch.drop("reps", "shared", "cells")
     return linked.select(*columns).unionByName(bare.select(*columns))
+
+
+def shared_tokens(matrix: DataFrame) -> DataFrame:
+    return matrix.select("token").distinct()
+
+
+def _reachable(low1: str, high1: str, low2: str, high2: str, num: int, den: int):
+    """Whether c shared prefix shingles leave a link possible between sets of these sizes.
+
+    Of two sets the one whose prefix ends first shares nothing with the other outside both prefixes but
+    the rest of itself, which is ceil(num n / den) - 1 long at most; a link needs num (n1 + n2) / (num + den).
+    """
+    rest = F.greatest(*[F.floor((F.col(h) * num + den - 1) / den) - 1 for h in (high1, high2)])
+    need = F.floor(((F.col(low1) + F.col(low2)) * num + num + den - 1) / (num + den))
+    sizes = (F.col(high1) * den >= F.col(low2) * num) & (F.col(high2) * den >= F.col(low1) * num)
+    return sizes & (F.col("c") + rest >= need)
+
+
+def _between(links: DataFrame, comp: DataFrame) -> DataFrame:
+    """Links of documents as links of their components."""
+    ends = [comp.select(F.col("doc_id").alias(x), F.col("comp").alias(f"c{x}")) for x in ("a", "b")]
+    return links.join(ends[0], "a").join(ends[1], "b").select(F.col("ca").alias("a"), F.col("cb").alias("b"))

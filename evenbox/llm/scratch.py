@@ -8,6 +8,7 @@ from __future__ import annotations
 
 import atexit
 import contextlib
+import gc
 import tempfile
 import uuid
 
@@ -83,8 +84,11 @@ class Scratch:
         return (reader.schema(schema) if schema is not None else reader).parquet(self.at(name))
 
     def drop(self, *names: str) -> None:
+        """Delete tables, and let Spark's cleaner find the shuffle files of plans that are gone."""
         for name in names:
             _delete(self.spark, self.at(name))
+        gc.collect()
+        self.spark._jvm.System.gc()
 
 
 def shuffle_width(spark: SparkSession) -> int:
