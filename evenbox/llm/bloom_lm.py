@@ -123,14 +123,13 @@ def _places(gram: np.ndarray, level: np.ndarray) -> list[np.ndarray]:
 def build_filter(docs: DataFrame, words: DataFrame, scratch: Scratch) -> tuple[DataFrame, int]:
     """The slices (slice, bits) of the filter over pairs of ``docs`` and ``words``, and how many there are."""
     pairs = docs.select("text").mapInArrow(lambda batches: _counted(batches, lambda token, before: combine([before, token])), "gram long, n long")
-    begins = docs.sparkSession.range(1).select(F.lit(int(word_gram(np.array([_BEGIN]))[0].astype(np.int64))).alias("gram"), F.lit(docs.count()).cast("long").alias("n")).where("n > 0")
     #: pairs are fewer than tokens, and a member more for each doubling of a count twice over
     members = 1.3 * (words.agg(F.sum("n")).first()[0] or 1)
     bits = 1 << max(17, math.ceil(math.log2(BITS_EACH * members)))
     n = bits // SLICE_BITS
     shift = 64 - n.bit_length() + 1
     own = F.shiftrightunsigned("gram", shift) if n > 1 else F.lit(0).cast("long")
-    rows = pairs.unionByName(words).unionByName(begins).withColumn("slice", own).repartition("slice").groupBy("slice", "gram").agg(F.sum("n").alias("n"))
+    rows = pairs.unionByName(words).withColumn("slice", own).repartition("slice").groupBy("slice", "gram").agg(F.sum("n").alias("n"))
 
     def build(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         maps: dict[int, np.ndarray] = {}
@@ -230,7 +229,7 @@ def score_documents(docs: DataFrame, mu: float = MU, top: int = TOP, folds: int
         if turn:
             scratch.drop(f"probed-{turn - 1}")
     last = sc.broadcast(load_segment(stored, firsts[-1], n))
-    scored = scratch.write(state.mapInArrow(_scoring(last, frequent, mu, floor), _SCORED), "scored")
+    scored = scratch.write(state.mapInArrow(_scoring(last, frequent, mu, floor, train.count()), _SCORED), "scored")
 
     rare = words.where(_class() < F.lit(least))
     asked = scored.select("row", F.explode("rare").alias("gram")).join(rare, "gram", "left")
@@ -243,17 +242,23 @@ _SCORED = "row long, doc_id long, n_tokens long, n_known long, base double, scor
 
 
 def _looked_up(batch: pa.RecordBatch, segment: Segment):
-    """Slices of a batch with the levels known so far: word, word before and pair of each token in turn."""
+    """Slices of a batch with the levels known so far: the word and the pair of each token. A word is looked up
+    once in a slice, for frequent words have many levels; the word before has the level of the token before."""
     levels = batch.column("levels")
     for a, b, token, before, row in _sequences(batch, 2):
-        grams = np.concatenate([word_gram(token), word_gram(before), combine([before, token])])
         size = np.bincount(row, minlength=b - a)
-        known = np.zeros(len(grams), np.uint8)
+        known = np.zeros((2, len(token)), np.uint8)
         if levels.null_count < len(levels):
-            kept = [np.frombuffer(x.as_buffer(), np.uint8).reshape(3, -1) for x in levels.slice(a, b - a)]
-            known = np.concatenate(kept, axis=1).reshape(-1).copy() if kept else known
-        segment.levels(grams, known)
-        yield a, b, token, row, size, grams, known.reshape(3, -1)
+            kept = [np.frombuffer(x.as_buffer(), np.uint8).reshape(2, -1) for x in levels.slice(a, b - a)]
+            known = np.concatenate(kept, axis=1) if kept else known
+        words, at = np.unique(token, return_inverse=True)
+        found = np.zeros(len(words), np.uint8)
+        segment.levels(word_gram(words), found)
+        known[0] = np.maximum(known[0], found[at])
+        pairs = known[1].copy()
+        segment.levels(combine([before, token]), pairs)
+        known[1] = pairs
+        yield a, b, token, row, size, known
 
 
 def _probing(segment):
@@ -261,7 +266,7 @@ def _probing(segment):
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for a, b, _, _, size, _, known in _looked_up(batch, segment.value):
+            for a, b, _, _, size, known in _looked_up(batch, segment.value):
                 edges = np.concatenate([[0], np.cumsum(size)])
                 cells = [np.ascontiguousarray(known[:, x:y]).tobytes() for x, y in zip(edges, edges[1:], strict=False)]
                 own = [c.slice(a, b - a) for c in batch.columns[:3]]
@@ -270,17 +275,20 @@ def _probing(segment):
     return run
 
 
-def _scoring(segment, frequent, mu: float, floor: float):
+def _scoring(segment, frequent, mu: float, floor: float, begins: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names, counts = frequent.value
         value = level_counts()
         schema = [x.split()[0] for x in _SCORED.split(", ")]
         for batch in batches:
-            for a, b, token, row, size, grams, known in _looked_up(batch, segment.value):
-                word, before, pair = value[known]
+            for a, b, token, row, size, known in _looked_up(batch, segment.value):
+                word, pair = value[known]
+                before = np.empty_like(word)
+                before[1:] = word[:-1]
+                before[np.cumsum(size) - size] = begins
                 pair = np.minimum(pair, np.minimum(word, before))  # a pair is no more frequent than its words
                 score = np.log10((pair + mu * (word + ADD) / floor) / (before + mu))
-                own = grams[: len(token)]
+                own = word_gram(token)
                 at = np.minimum(np.searchsorted(names, own), max(len(names) - 1, 0))
                 top = names[at] == own if len(names) else np.zeros(len(own), bool)
                 base = np.where(top, np.log10(((counts[at] if len(names) else 0) + ADD) / floor), 0.0)
