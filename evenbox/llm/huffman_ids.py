@@ -19,7 +19,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from evenbox.llm.fast_bpe import encoder
@@ -219,8 +219,8 @@ def write_ids(docs: DataFrame, scratch: Scratch, vocabulary: str = "byte_bpe_50k
 # --- reading ------------------------------------------------------------------------------------
 
 
-def read_ids(spark: SparkSession, scratch: Scratch, with_ids: bool = False) -> DataFrame:
-    """One row for each run of a document in a block: shard, number (of the document in the shard),
+def read_ids(spark: SparkSession, scratch: Scratch, with_ids: bool = False, blocks: Column | None = None) -> DataFrame:
+    """One row for each run of a document in a block (of those chosen by a condition on ``blocks``): shard, number (of the document in the shard),
     doc_id, begin (ids before the run in the shard), n_ids, crc (of its ids as unsigned 32-bit
     integers), whole (the run is the document), and the ids if asked for."""
     head = scratch.read("code").first()
@@ -242,7 +242,8 @@ def read_ids(spark: SparkSession, scratch: Scratch, with_ids: bool = False) -> D
                     columns.append(pa.array([x.astype(np.int32) for x in runs], pa.list_(pa.int32())))
                 yield pa.RecordBatch.from_arrays(columns, names)
 
-    return scratch.read("blocks", _BLOCK).mapInArrow(run, schema)
+    stored = scratch.read("blocks", _BLOCK)
+    return (stored if blocks is None else stored.where(blocks)).mapInArrow(run, schema)
 
 
 def _gf2_shift(crc: int, n: int) -> int:
@@ -291,8 +292,8 @@ def token_file_digest(docs: DataFrame, vocabulary: str = "byte_bpe_50k.json", en
     for shard, n in sorted((r["shard"], r["n"]) for r in shards.collect()):  # a row for each shard
         base.append((shard, ahead))
         ahead += n
-    runs = read_ids(spark, scratch)
-    split = runs.where(~F.col("whole")).groupBy("shard", "number").applyInPandas(_joined, runs.schema)
+    runs = read_ids(spark, scratch, blocks=F.col("whole"))
+    split = read_ids(spark, scratch, blocks=~F.col("whole")).groupBy("shard", "number").applyInPandas(_joined, runs.schema)
     bases = F.broadcast(spark.createDataFrame(base, "shard int, base long"))  # a row for each shard
-    every = runs.where("whole").unionByName(split).join(bases, "shard")
+    every = runs.unionByName(split).join(bases, "shard")
     return every.select("doc_id", (F.col("begin") + F.col("base")).alias("start"), F.col("n_ids").alias("n_tokens"), F.col("crc").alias("ids_crc32"))
