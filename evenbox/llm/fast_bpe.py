@@ -35,10 +35,10 @@ class CorpusEncoder:
     """``encode_many(texts) -> [bytes of ids]``, little-endian, ``dtype`` wide.
 
     name: file in the public tokenizer folder. remember: pieces kept in memory; when they are that
-    many, all are forgotten, so memory stays bounded.
+    many, the later half is forgotten (frequent pieces are met early), so memory stays bounded.
     """
 
-    def __init__(self, name: str, remember: int = 1_000_000):
+    def __init__(self, name: str, remember: int = 400_000):
         import public_tokenizers
         from tokenizers import Tokenizer
 
@@ -60,23 +60,29 @@ class CorpusEncoder:
 
     def _learn(self, pieces: set[str]) -> None:
         """Encode new pieces, each standing after a space, all in one scan of their pre-tokens."""
-        plain = []
-        for piece in pieces:
-            if _PLAIN.fullmatch(piece):
-                plain.append(piece)
-            elif not piece:
-                self._known[piece] = b""
-            else:
-                self._known[piece] = self.whole(piece if self.words else " " + piece)
+        if "" in pieces:
+            self._known[""] = b""
+            pieces.discard("")
+        plain = list(pieces)
+        if not _PLAIN.fullmatch("\n".join(plain)):
+            for piece in plain:
+                if not _PLAIN.fullmatch(piece):
+                    self._known[piece] = self.whole(piece if self.words else " " + piece)
+                    pieces.discard(piece)
+            plain = list(pieces)
         if not plain:
             return
         if self.words:
             found = _WORD_PIECES.findall("\0".join(plain).lower())
         else:
-            found = _BYTE_PIECES.findall("\0".join([" " + p for p in plain]))
+            found = _BYTE_PIECES.findall(" " + "\0 ".join(plain))
         known, tokenize, alphabet, code = self._pre, self._tokenize, self._alphabet, self.code
+        space, newline = alphabet[32], alphabet[10]
         for text in {t for t in found if t not in known}:
-            shown = text.encode().decode("latin-1").translate(alphabet)
+            if text.isascii():
+                shown = text.replace(" ", space).replace("\n", newline)
+            else:
+                shown = text.encode().decode("latin-1").translate(alphabet)
             known[text] = array(code, [t.id for t in tokenize(shown)]).tobytes()
         known["\0"], order, ids = b"", iter(plain), []
         for text in found:
@@ -89,10 +95,10 @@ class CorpusEncoder:
 
     def encode_many(self, texts: list[str | None]) -> list[bytes]:
         """The ids of each text; a null text has none."""
-        if len(self._known) > self.remember:
-            self._known.clear()
-        if len(self._pre) > self.remember:
-            self._pre.clear()
+        for known, most in ((self._known, self.remember), (self._pre, self.remember // 2)):
+            if len(known) > most:
+                for piece in list(known)[most // 2 :]:
+                    del known[piece]
         rows, missing = [], set()
         recall = self._known.get
         for text in texts:
