@@ -123,9 +123,9 @@ class CorpusEncoder:
         parts, got = row
         if not self.words:
             head = parts[0][1:]
-            if len(parts) > 1 and (not head or head[-1].isspace()):
+            if len(parts) > 1 and head and head[-1].isspace():
                 return self.whole(text)
-            got[0] = self.whole(head)
+            got[0] = self.whole(head) if head else b""
         if None in got:
             got = [self._known.get(p) if ids is None else ids for p, ids in zip(parts, got, strict=True)]
             if None in got:
