@@ -147,11 +147,11 @@ def drop_repeated_lines(docs: DataFrame, **options) -> DataFrame:
     """``docs`` with their columns, without the lines that repeat an earlier one. A document that loses
     its last line with a letter or digit goes; one that never had any stays as it was. n_chars, if
     there, is counted anew."""
-    gone = repeated_lines(docs, **options).where("not kept").groupBy("doc_id").agg(F.collect_set("line").alias("_gone"))
+    gone = repeated_lines(docs, **options).where("not kept").groupBy("doc_id").agg(F.collect_set("line").alias("_evenbox_gone"))
     marked = docs.join(gone, "doc_id", "left")
-    rest = F.filter(F.split("text", "\n"), lambda line, i: ~F.array_contains("_gone", i))
-    text = F.when(F.col("_gone").isNull(), F.col("text")).otherwise(F.array_join(rest, "\n"))
-    cut = marked.withColumn("text", text).where(F.col("_gone").isNull() | F.col("text").rlike(r"[\p{L}\p{N}]"))
+    rest = F.filter(F.split("text", "\n"), lambda line, i: ~F.array_contains("_evenbox_gone", i))
+    text = F.when(F.col("_evenbox_gone").isNull(), F.col("text")).otherwise(F.array_join(rest, "\n"))
+    cut = marked.withColumn("text", text).where(F.col("_evenbox_gone").isNull() | F.col("text").rlike(r"[\p{L}\p{N}]"))
     if "n_chars" in docs.columns:
-        cut = cut.withColumn("n_chars", F.when(F.col("_gone").isNull(), F.col("n_chars")).otherwise(F.length("text").cast(docs.schema["n_chars"].dataType)))
+        cut = cut.withColumn("n_chars", F.when(F.col("_evenbox_gone").isNull(), F.col("n_chars")).otherwise(F.length("text").cast(docs.schema["n_chars"].dataType)))
     return cut.select(*docs.columns)

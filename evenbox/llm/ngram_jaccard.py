@@ -16,8 +16,8 @@ The order comes from shingle counts of all documents in a table of fixed size; a
 same links, a good one fewer candidates.
 
 Defined results: null, empty and wordless texts have n_shingles 0 and are alone; fewer than k words make one
-shingle of the whole sequence; repeated rows of one doc_id come back as often; an empty table gives no rows;
-extra columns are ignored.
+shingle of the whole sequence; repeated rows of one doc_id come back as often; a null doc_id is in the component of documents with its
+very set, and has a null one if there are none; an empty table gives no rows; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -282,7 +282,7 @@ def jaccard_components(docs: DataFrame, k: int = 5, num: int = 80, den: int = 10
 
     last = connected_components(edges.unionByName(_between(more, comp)), scratch, "last")
     final = comp.join(last, comp.comp == last.node, "left").select(F.col("doc_id").alias("rep"), F.coalesce("root", "comp").alias("component_id"))
-    copies = kinds.join(final, "rep").select(*named, "component_id")
+    copies = kinds.join(final, "rep", "left").select(*named, F.coalesce("component_id", "rep").alias("component_id"))
     linked = light.where("n > 0").join(copies, named)
     bare = light.where("n = 0").withColumn("component_id", F.col("doc_id"))
     columns = ["doc_id", F.col("n").alias("n_shingles"), "component_id"]

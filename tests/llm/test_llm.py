@@ -133,6 +133,9 @@ def test_jaccard_components(spark, edge, documents, none):
         got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in ngram_jaccard.jaccard_components(df, k, num, 100).collect()}
         assert got == want
     assert ngram_jaccard.jaccard_components(none).count() == 0
+    nulls = spark.createDataFrame([(None, "a b c d e f"), (3, "a b c d e f"), (None, "other words stand here now")], "doc_id long, text string")
+    rows = ngram_jaccard.jaccard_components(nulls).collect()
+    assert sorted((r["doc_id"] or -1, r["component_id"] or -1) for r in rows) == [(-1, -1), (-1, 3), (3, 3)]
 
 
 def test_jaccard_on_a_family_larger_than_a_group(spark):
