@@ -102,9 +102,11 @@ def write_archives(pages: DataFrame, root: str, scratch: Scratch, min_revisit: i
     """Archive ``pages`` (page_id, url, html) below ``root``; (path, records) of the files written."""
     pages = pages.select("page_id", "url", "html")
     size = F.octet_length(F.coalesce("html", F.lit("")))
-    mean = pages.agg(F.avg(size)).first()[0] or 0
+    mean, rows = pages.agg(F.coalesce(F.avg(size), F.lit(0.0)), F.count("*")).first()
     count = max(16, int(sample_bytes / max(mean, 1)))
-    sample = pages.where(size <= 16 * max(mean, 1)).orderBy(F.xxhash64("page_id"), "page_id").limit(count).collect()  # sample_bytes x 16 at most
+    # twice the wanted pages by their hash, so that tasks together hand over a bounded number of bytes
+    share = F.pmod(F.xxhash64("page_id"), F.lit(1 << 30)) < int(min(1.0, 2 * count / max(rows, 1)) * (1 << 30))
+    sample = pages.where(share & (size <= 16 * max(mean, 1))).orderBy(F.xxhash64("page_id"), "page_id").limit(count).collect()
     records = [make_record(r["page_id"], r["url"], (r["html"] or "").encode(), None, date) for r in sample]
     dictionary = pages.sparkSession.sparkContext.broadcast(train_dictionary(records) if records else b"")
     revisits = scratch.write(mark_revisits(pages, min_revisit), "revisits").withColumnRenamed("page_id", "again")
