@@ -273,6 +273,7 @@ def measured(df: Frame, method: str, block: int, workload: str, param: str = "",
     scaled = df.withColumns({a: (F.col(a) - ends[f"min_{a}"]) / ((ends[f"max_{a}"] - ends[f"min_{a}"]) or 1.0) for a in axes})
     learned = learn(scaled, method, block, axes, **options)
     man = quality.manifest(router.route(scaled, learned.layout, axes, "arrow"), axes, block)
+    man = df.sparkSession.createDataFrame(man.toArrow())  # a row for each partition, used by every measure
     asked = queries if queries is not None else index.grid_queries(df.sparkSession, [0.0] * len(axes), [1.0] * len(axes), 100, 0.01, axes)
     cost = quality.range_cost(man, asked, axes).agg(F.avg("blocks").alias("blocks_per_query"))
     row = quality.all_measures(man, block, axes).crossJoin(cost)
