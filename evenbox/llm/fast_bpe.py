@@ -38,7 +38,7 @@ class CorpusEncoder:
     many, the later half is forgotten (frequent pieces are met early), so memory stays bounded.
     """
 
-    def __init__(self, name: str, remember: int = 400_000):
+    def __init__(self, name: str, remember: int = 200_000):
         import public_tokenizers
         from tokenizers import Tokenizer
 
