@@ -1,11 +1,10 @@
 """Whole-text token ids of the public tokenizers, fast enough for a corpus.
 
-The ids are those of ``Tokenizer.encode(text, add_special_tokens=False)`` with special strings
-taken as ordinary text. Both vocabularies split a text at a lone space (or newline, for the word
+The ids are those of ``Tokenizer.encode(text, add_special_tokens=False)`` of the file as it is. Both vocabularies split a text at a lone space (or newline, for the word
 vocabulary) whatever stands around it, so a text is cut there, each distinct piece is encoded once
 by the library's own BPE model and remembered, and a text costs a dictionary lookup for each piece.
-Pieces outside the plain Latin alphabet, and texts whose spaces touch other white space, go through
-the library's full pipeline. Tests hold both paths against the library.
+Pieces outside the plain Latin alphabet, texts whose spaces touch other white space, and texts that
+hold the string of an added token, go through the library's full pipeline. Tests hold both paths against the library.
 """
 
 from __future__ import annotations
@@ -43,7 +42,8 @@ class CorpusEncoder:
         from tokenizers import Tokenizer
 
         self.library = Tokenizer.from_file(public_tokenizers.path(name))
-        self.library.encode_special_tokens = True
+        added = [t.content for t in self.library.get_added_tokens_decoder().values()]
+        self._added = re.compile("|".join(map(re.escape, added)) or r"(?!)")
         self.size = self.library.get_vocab_size(with_added_tokens=True)
         self.code = "H" if self.size <= 1 << 16 else "I"
         self.dtype = np.dtype("<u2") if self.code == "H" else np.dtype("<u4")
@@ -102,7 +102,7 @@ class CorpusEncoder:
         rows, missing = [], set()
         recall = self._known.get
         for text in texts:
-            if not text:
+            if not text or self._added.search(text):
                 rows.append(None)
                 continue
             parts = text.replace("\n", " ").split(" ") if self.words else f"\n{text}".split(" ")
@@ -117,7 +117,7 @@ class CorpusEncoder:
             missing -= unsafe
         if missing:
             self._learn(missing)
-        return [self._join(text, row) if row else b"" for text, row in zip(texts, rows, strict=True)]
+        return [self._join(text, row) if row else self.whole(text or "") for text, row in zip(texts, rows, strict=True)]
 
     def _join(self, text: str, row: tuple[list[str], list[bytes | None]]) -> bytes:
         parts, got = row

@@ -51,6 +51,32 @@ def test_encoder_is_the_library(name):
         assert np.frombuffer(ids, own.dtype).tolist() == own.library.encode(text, add_special_tokens=False).ids
 
 
+@pytest.mark.parametrize("name", ["byte_bpe_50k.json", "word_bpe_49k.json"])
+def test_added_tokens_are_those_of_the_file(name):
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    fresh, own = Tokenizer.from_file(public_tokenizers.path(name)), CorpusEncoder(name, remember=50)
+    pick = random.Random(2)
+    texts = ["a <|endoftext|> b", "<|endoftext|>", "x<|endoftext|>\n y  <|startoftext|>z", "<|ENDOFTEXT|> <|endoftext|", None, ""]
+    texts += ["".join(pick.choice(["<|endoftext|>", "<|startoftext|>", " ", "  ", "\n", "don't", "é", "日本", "Word"]) for _ in range(pick.randint(1, 12))) for _ in range(500)]
+    for text, ids in zip(texts, own.encode_many(texts), strict=True):
+        assert np.frombuffer(ids, own.dtype).tolist() == fresh.encode(text or "", add_special_tokens=False).ids
+
+
+def test_added_tokens_in_the_operators(spark):
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    rows = [(0, "a <|endoftext|> b"), (1, "plain text"), (2, "word " * 80 + "<|endoftext|><|startoftext|> " + "word " * 80)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    byte, word = (Tokenizer.from_file(public_tokenizers.path(n)) for n in ("byte_bpe_50k.json", "word_bpe_49k.json"))
+    size = lambda library, t: len(library.encode(t, add_special_tokens=False).ids)
+    assert {r["doc_id"]: r["n_tokens"] for r in huffman_ids.token_file_digest(df).collect()} == {d: size(byte, t) + 1 for d, t in rows}
+    assert {r["doc_id"]: r["length"] for r in best_fit.pack_documents(df).collect()} == {d: size(word, t) + 1 for d, t in rows}
+    assert {r["doc_id"]: r["tokens_before"] for r in edit_counts.edited_counts(df).collect()} == {d: size(byte, t) for d, t in rows}
+
+
 def test_huffman_code():
     rng = np.random.default_rng(1)
     for n in (0, 1, 5, 63, 64, 65, 1000):
