@@ -3,8 +3,13 @@
 Lines are normalised (lower case, runs of anything but letters and digits to one space). Equal normalised
 lines are one variant. A variant's 64-bit SimHash is the sign, bit by bit, of the votes of its words'
 hashes. The 64 bits are cut into ``blocks`` blocks; variants within ``max_flips`` bits agree on at least
-``blocks - max_flips`` of them, so a key for each such choice of blocks finds every pair. Pairs are
-verified by edit distance. More blocks make longer keys for larger corpora (6: 32 bits, 20 keys).
+``blocks - max_flips`` of them, so a key for each such choice of blocks finds every pair. More blocks make
+longer keys for larger corpora (6: 32 bits, 20 keys).
+
+A changed word flips some 8 bits of a line of 10 words, so most pairs that are similar by edit distance are
+not within those flips. Each variant therefore has further keys: bands of min-hashes of its word pairs, of its
+character 4-grams if it has few words, and the halves of a line of under 20 characters, where one edit is
+allowed at most and leaves one half whole. Pairs of any key are verified by edit distance.
 
 Large groups: each key first links its variants to the first of them, and the components of
 those links are found; only then do variants of one key that are still in different components meet.
@@ -18,6 +23,7 @@ then the lanes of a line's parts are added up. So a word costs one hash and eigh
 from __future__ import annotations
 
 from functools import reduce
+from hashlib import blake2b
 from itertools import combinations
 
 from pyspark.sql import Column, DataFrame, Window
@@ -29,6 +35,15 @@ from evenbox.llm.scratch import Scratch
 MIN_SIMILARITY = 0.9
 MAX_FLIPS = 3
 BLOCKS = 5
+#: min-hashes of a band, and bands of a family of keys
+BAND = 3
+BANDS = 20
+#: bits that may differ between two lines that share a band of word pairs
+PAIR_FLIPS = 20
+#: lines of fewer words have character keys, lines of at least so many have word pair keys
+FEW_WORDS = 12
+SOME_WORDS = 8
+_SALTS = [int.from_bytes(blake2b(bytes([k]), digest_size=4).digest(), "little", signed=True) for k in range(BAND * BANDS)]
 #: a set of keys up to this size goes to every executor, a larger one is joined by shuffle
 BROADCAST_KEYS = 1_000_000
 #: a part of a line is 2^6 words, so a lane's sum stays below 128
@@ -78,6 +93,30 @@ def block_keys(h: Column, max_flips: int, blocks: int) -> Column:
     return F.array(*[F.xxhash64(F.lit(k), key(at)) for k, at in enumerate(chosen)])
 
 
+def _band_keys(features: DataFrame, label: str, flips: int) -> DataFrame:
+    """Rows (vid, f: the hash of a feature) -> vid, key, flips: a key for each band of min-hashes. Equal lines are one."""
+    minima = features.groupBy("vid").agg(*[F.min(F.col("f").bitwiseXOR(F.lit(x))).alias(f"m{k}") for k, x in enumerate(_SALTS)])
+    keys = [F.xxhash64(F.lit(label), F.lit(k), *[F.col(f"m{BAND * k + i}") for i in range(BAND)]) for k in range(BANDS)]
+    return minima.select("vid", F.explode(F.array(*keys)).alias("key"), F.lit(flips).alias("flips"))
+
+
+def _half_keys(shorter: Column) -> list[Column]:
+    """Both halves of a line, as cut if the shorter line of a pair has ``shorter`` characters."""
+    half = F.floor(shorter / 2).cast("int")
+    ends = (F.substring("norm", F.lit(1), half), F.substring("norm", F.col("size") - (shorter - half) + 1, shorter - half))
+    return [F.xxhash64(F.lit(f"half {k}"), shorter, end) for k, end in enumerate(ends)]
+
+
+def similar_keys(docs: DataFrame) -> DataFrame:
+    """vid, key and flips (bits that a pair of that key may differ by) of every normalised line."""
+    lines = document_lines(docs).select("norm", F.xxhash64("norm").alias("vid"), F.length("norm").alias("size"), F.split("norm", " ").alias("words"))
+    pairs = F.zip_with("words", F.slice("words", 2, F.size("words")), lambda a, b: F.hash(a, b))
+    pairs = lines.where(F.size("words") >= SOME_WORDS).select("vid", F.explode(pairs).alias("f"))
+    grams = lines.where((F.size("words") < FEW_WORDS) & (F.col("size") >= 16)).select("vid", F.explode(F.regexp_extract_all("norm", F.lit("(?s)(?=(.{4}))"), F.lit(1))).alias("gram"))
+    halves = lines.where(F.col("size").between(9, 19)).select("vid", F.explode(F.array(*_half_keys(F.col("size")), *_half_keys(F.col("size") - 1))).alias("key"), F.lit(64).alias("flips")).distinct()
+    return _band_keys(pairs, "pairs", PAIR_FLIPS).unionByName(_band_keys(grams.select("vid", F.hash("gram").alias("f")), "grams", 64)).unionByName(halves)
+
+
 def _similar(a: str, b: str, floor: float) -> Column:
     """Edit similarity 1 - distance / longer length of at least ``floor``; Spark stops at the limit."""
     limit = f"CAST(floor(greatest(length({a}), length({b})) * {1 - floor} + 1e-9D) AS INT)"
@@ -86,10 +125,12 @@ def _similar(a: str, b: str, floor: float) -> Column:
 
 def similar_variants(variants: DataFrame, docs: DataFrame, scratch: Scratch, min_similarity: float, max_flips: int, blocks: int) -> DataFrame:
     """(node, root) over rows (vid, at, size, h); variants without a partner are left out."""
-    keys = variants.select("vid", "h", "size", F.explode(block_keys(F.col("h"), max_flips, blocks)).alias("key"))
+    keys = variants.select("vid", "h", "size", F.explode(block_keys(F.col("h"), max_flips, blocks)).alias("key")).withColumn("flips", F.lit(max_flips))
+    near = variants.select("vid", "h", "size").join(similar_keys(docs), "vid").select("vid", "h", "size", "key", "flips")
+    keys = scratch.write(keys.unionByName(near), "keys")
     order = Window.partitionBy("key").orderBy("vid")
-    seen = keys.select("key", "vid", "h", F.first("vid").over(order).alias("a"), F.first("h").over(order).alias("ha"), F.row_number().over(order).alias("nth"))
-    close = F.bit_count(F.col("h").bitwiseXOR(F.col("ha"))) <= max_flips
+    seen = keys.select("key", "vid", "h", "size", "flips", F.first("vid").over(order).alias("a"), F.first("h").over(order).alias("ha"), F.first("size").over(order).alias("na"), F.row_number().over(order).alias("nth"))
+    close = (F.bit_count(F.col("h").bitwiseXOR(F.col("ha"))) <= F.col("flips")) & (F.least("size", "na") >= F.greatest("size", "na") * min_similarity - 1e-9)
     seen = scratch.write(seen.where((F.col("nth") > 1) & (close | (F.col("nth") > 2))), "seen")
     stars = scratch.write(seen.where(close).select("a", F.col("vid").alias("b")).distinct(), "stars")
     first = scratch.write(connected_components(verified(stars, variants, docs, scratch, min_similarity, "near"), scratch, "first"), "first")
@@ -97,12 +138,12 @@ def similar_variants(variants: DataFrame, docs: DataFrame, scratch: Scratch, min
     #: keys of two variants are done: the one pair there is was the star
     crowded = scratch.write(seen.where("nth > 2").select("key").distinct(), "crowded")
     crowded = F.broadcast(crowded) if crowded.count() <= BROADCAST_KEYS else crowded
-    rows = keys.join(crowded, "key", "left_semi").join(first, F.col("vid") == F.col("node"), "left").select("key", "vid", "h", "size", F.coalesce("root", "vid").alias("comp"))
+    rows = keys.join(crowded, "key", "left_semi").join(first, F.col("vid") == F.col("node"), "left").select("key", "vid", "h", "size", "flips", F.coalesce("root", "vid").alias("comp"))
     rows = scratch.write(rows, "rows")
     mixed = rows.groupBy("key").agg(F.min("comp").alias("x"), F.max("comp").alias("y")).where("x < y").select("key")
     rows = rows.join(mixed, "key", "left_semi")
     a, b = rows.alias("a"), rows.alias("b")
-    near = (F.col("a.key") == F.col("b.key")) & (F.col("a.comp") < F.col("b.comp")) & (F.bit_count(F.col("a.h").bitwiseXOR(F.col("b.h"))) <= max_flips) & (F.least("a.size", "b.size") >= F.greatest("a.size", "b.size") * min_similarity - 1e-9)
+    near = (F.col("a.key") == F.col("b.key")) & (F.col("a.comp") < F.col("b.comp")) & (F.bit_count(F.col("a.h").bitwiseXOR(F.col("b.h"))) <= F.col("a.flips")) & (F.least("a.size", "b.size") >= F.greatest("a.size", "b.size") * min_similarity - 1e-9)
     more = scratch.write(a.join(b, near).select(F.col("a.vid").alias("a"), F.col("b.vid").alias("b")).distinct(), "more")
     links = first.select(F.col("node").alias("a"), F.col("root").alias("b")).unionByName(verified(more, variants, docs, scratch, min_similarity, "far"))
     return connected_components(links, scratch, "last")

@@ -280,6 +280,48 @@ def test_line_links_are_all_found(spark, documents):
     assert checked
 
 
+def test_similar_lines_are_found_whatever_their_flips(spark):
+    """Lines with a changed word, scattered typos or one edit, and lines without spaces, against edit similarity alone."""
+    pick = random.Random(5)
+    words = ["".join(pick.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(pick.randint(2, 9))) for _ in range(800)]
+    signs = [chr(c) for c in range(0x4E00, 0x4E00 + 400)]
+    pairs = []
+    for n in (8, 10, 12, 20, 40, 80):
+        for _ in range(25):
+            line = [pick.choice(words) for _ in range(n)]
+            at = pick.randrange(n)
+            pairs.append((" ".join(line), " ".join([*line[:at], pick.choice(words), *line[at + 1 :]])))
+    for n in (10, 14, 19, 24, 40, 120):
+        for _ in range(15):
+            line = [pick.choice(signs) for _ in range(n)]
+            at = pick.randrange(n)
+            pairs.append(("".join(line), "".join([*line[:at], *pick.choice([[pick.choice(signs)], []]), *line[at + 1 :]])))
+    rows = [(2 * i + k, line) for i, pair in enumerate(pairs) for k, line in enumerate(pair)]
+    got = {r["doc_id"]: r["group_doc"] for r in fuzzy_lines.repeated_lines(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    similar = [i for i, (a, b) in enumerate(pairs) if distance(normal(a), normal(b)) <= int(max(len(a), len(b)) * 0.1 + 1e-9)]
+    found = sum(got[2 * i] == got[2 * i + 1] for i in similar)
+    assert len(similar) > 150 and found >= 0.97 * len(similar), (found, len(similar))
+    short = [i for i in similar if len(pairs[i][0]) < 20]
+    assert short and all(got[2 * i] == got[2 * i + 1] for i in short)
+    assert all(got[2 * i] != got[2 * i + 1] for i in range(len(pairs)) if i not in similar)
+
+
+def test_recall_of_similar_lines_on_documents(spark, documents):
+    """Of all pairs of lines of similar size, those with edit similarity 0.9, whatever their hashes."""
+    from pyspark.sql import functions as F
+
+    lines = fuzzy_lines.document_lines(documents).withColumn("n", F.length("norm"))
+    one = lines.groupBy("norm", "n").agg(F.min(F.struct("doc_id", "line")).alias("at")).localCheckpoint()
+    a, b = one.alias("a"), one.alias("b")
+    sized = (F.col("a.n") <= F.col("b.n")) & (F.col("a.n") >= F.col("b.n") * 0.9 - 1e-9) & (F.col("a.norm") != F.col("b.norm")) & (F.col("b.n") >= 10)
+    brute = a.join(b, sized).where("levenshtein(a.norm, b.norm, CAST(floor(b.n * 0.1D + 1e-9D) AS INT)) >= 0")
+    brute = brute.select(F.col("a.at").alias("x"), F.col("b.at").alias("y")).collect()
+    groups = {(r["doc_id"], r["line"]): (r["group_doc"], r["group_line"]) for r in fuzzy_lines.repeated_lines(documents).collect()}
+    found = sum(groups[tuple(r["x"])] == groups[tuple(r["y"])] for r in brute)
+    print(f"recall {found} of {len(brute)}")
+    assert brute and found >= 0.97 * len(brute)
+
+
 def brute_repeats(s):
     out = []
     for i in range(len(s)):
