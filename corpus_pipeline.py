@@ -7,12 +7,13 @@ the packed pieces. ``run`` writes each stage to the shared folder and reads it b
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from evenbox.llm.best_fit import pack_documents
 from evenbox.llm.edit_matching import drop_contaminated
 from evenbox.llm.fuzzy_lines import drop_repeated_lines
-from evenbox.llm.ngram_jaccard import jaccard_components
-from evenbox.llm.scratch import Scratch
+from evenbox.llm.ngram_jaccard import row_components
+from evenbox.llm.scratch import ROW, Scratch, numbered
 from evenbox.llm.suffix_repeats import keep_good_documents
 
 
@@ -27,10 +28,11 @@ def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near copies (five words, 0.8) stays, that with the smallest doc_id."""
-    classes = jaccard_components(docs, k=5, num=80, den=100)
-    first = classes.where("doc_id = component_id").select("doc_id").distinct()
-    return docs.join(first, "doc_id", "left_semi").select(*docs.columns)
+    """One row of each group of near copies (five words, 0.8) stays, that with the smallest doc_id; nulls are last."""
+    rows = numbered(docs, Scratch(spark, "near"))
+    classes = row_components(rows, k=5, num=80, den=100).join(rows.select(ROW, "doc_id"), ROW)
+    first = classes.groupBy("component").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", ROW)).alias("first"))
+    return rows.join(first.select(f"first.{ROW}"), ROW, "left_semi").select(*docs.columns)
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

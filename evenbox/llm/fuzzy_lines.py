@@ -30,7 +30,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from evenbox.llm.components import connected_components
-from evenbox.llm.scratch import Scratch
+from evenbox.llm.scratch import ROW, Scratch, numbered
 
 MIN_SIMILARITY = 0.9
 MAX_FLIPS = 3
@@ -59,7 +59,8 @@ def normal_line(line: Column) -> Column:
 def document_lines(docs: DataFrame) -> DataFrame:
     """doc_id, line (number from 0), norm, and row (which tells repeated doc_ids apart) of every line
     that has a letter or digit."""
-    texts = docs.select(F.monotonically_increasing_id().alias("row"), "doc_id", "text")
+    row = F.col(ROW) if ROW in docs.columns else F.monotonically_increasing_id()
+    texts = docs.select(row.alias("row"), "doc_id", "text")
     split = texts.select("row", "doc_id", F.posexplode(F.split("text", "\n")).alias("line", "raw"))
     return split.select("row", "doc_id", "line", normal_line(F.col("raw")).alias("norm")).where("norm <> ''")
 
@@ -71,7 +72,7 @@ def _spread(byte: Column) -> Column:
 
 
 def hashed_lines(docs: DataFrame) -> DataFrame:
-    """doc_id, line, vid (names the normalised line), size (its characters), h (its SimHash)."""
+    """row, doc_id, line, vid (names the normalised line), size (its characters), h (its SimHash)."""
     own = ["row", "doc_id", "line", "vid", "size"]
     lines = document_lines(docs).select("row", "doc_id", "line", F.xxhash64("norm").alias("vid"), F.length("norm").alias("size"), F.split("norm", " ").alias("words"))
     words = lines.select(*own, F.posexplode("words").alias("at", "word"))
@@ -81,7 +82,7 @@ def hashed_lines(docs: DataFrame) -> DataFrame:
     lane = lambda i, k: F.shiftrightunsigned(f"s{i}", 8 * k).bitwiseAND(F.lit(255))
     votes = parts.groupBy(*own).agg(F.sum("n").alias("n"), *[F.sum(lane(i, k)).alias(f"b{8 * i + 7 - k}") for i in range(8) for k in range(8)])
     bits = [F.when(F.col(f"b{b}") * 2 > F.col("n"), F.shiftleft(F.lit(1).cast("long"), b)).otherwise(F.lit(0).cast("long")) for b in range(64)]
-    return votes.select("doc_id", "line", "vid", "size", reduce(lambda x, y: x.bitwiseOR(y), bits).alias("h"))
+    return votes.select("row", "doc_id", "line", "vid", "size", reduce(lambda x, y: x.bitwiseOR(y), bits).alias("h"))
 
 
 def block_keys(h: Column, max_flips: int, blocks: int) -> Column:
@@ -152,10 +153,10 @@ def similar_variants(variants: DataFrame, docs: DataFrame, scratch: Scratch, min
 def verified(pairs: DataFrame, variants: DataFrame, docs: DataFrame, scratch: Scratch, min_similarity: float, label: str) -> DataFrame:
     """The pairs (a, b) of variants whose lines are similar enough."""
     asked = pairs.select(F.col("a").alias("vid")).unionByName(pairs.select(F.col("b").alias("vid"))).distinct()
-    places = scratch.write(variants.join(asked, "vid", "left_semi").select("vid", "at.doc_id", "at.line"), f"{label}-places")
-    asked = places.select("doc_id").distinct()
-    texts = docs.join(F.broadcast(asked) if asked.count() <= BROADCAST_KEYS else asked, docs["doc_id"].eqNullSafe(asked["doc_id"]), "left_semi")
-    lines = document_lines(texts).join(places.withColumnRenamed("line", "at_line").withColumnRenamed("doc_id", "at_doc"), F.col("doc_id").eqNullSafe(F.col("at_doc")) & (F.col("line") == F.col("at_line")))
+    places = scratch.write(variants.join(asked, "vid", "left_semi").select("vid", F.col("at.row").alias("at_row"), F.col("at.line").alias("at_line")), f"{label}-places")
+    asked = places.select(F.col("at_row").alias(ROW)).distinct()
+    texts = docs.join(F.broadcast(asked) if asked.count() <= BROADCAST_KEYS else asked, ROW, "left_semi")
+    lines = document_lines(texts).join(places, (F.col("row") == F.col("at_row")) & (F.col("line") == F.col("at_line")))
     lines = lines.where(F.xxhash64("norm") == F.col("vid")).groupBy("vid").agg(F.first("norm").alias("norm"))
     lines = scratch.write(lines, f"{label}-lines")
     left = lines.select(F.col("vid").alias("a"), F.col("norm").alias("norm_a"))
@@ -172,24 +173,33 @@ def repeated_lines(docs: DataFrame, min_similarity: float = MIN_SIMILARITY, max_
     first; extra columns are ignored.
     """
     scratch = scratch or Scratch(docs.sparkSession, "lines")
-    docs = docs.select("doc_id", "text")
+    rows = numbered(docs.select("doc_id", "text"), scratch)
+    return grouped_lines(rows, scratch, min_similarity, max_flips, blocks).drop("row")
+
+
+def grouped_lines(docs: DataFrame, scratch: Scratch, min_similarity: float = MIN_SIMILARITY, max_flips: int = MAX_FLIPS, blocks: int = BLOCKS) -> DataFrame:
+    """The columns of ``repeated_lines``, and row, over ``numbered`` rows; a row is named by its number alone."""
+    docs = docs.select(ROW, "doc_id", "text")
     places = scratch.write(hashed_lines(docs), "places")
-    variants = places.groupBy("vid").agg(F.min(F.struct("doc_id", "line")).alias("at"), F.first("h").alias("h"), F.first("size").alias("size"))
+    variants = places.groupBy("vid").agg(F.min(F.struct("doc_id", "line", "row")).alias("at"), F.first("h").alias("h"), F.first("size").alias("size"))
     variants = scratch.write(variants, "variants")
     groups = scratch.write(similar_variants(variants, docs, scratch, min_similarity, max_flips, blocks), "groups")
     named = variants.join(groups, variants.vid == groups.node, "left").select("vid", "at", F.coalesce("root", "vid").alias("comp"))
     named = scratch.write(named, "named")
     heads = named.groupBy("comp").agg(F.min("at").alias("head"))
     heads = named.join(heads, "comp").select("vid", "head")
-    return places.join(heads, "vid").select("doc_id", "line", F.col("head.doc_id").alias("group_doc"), F.col("head.line").alias("group_line"), (F.col("doc_id").eqNullSafe(F.col("head.doc_id")) & (F.col("line") == F.col("head.line"))).alias("kept"))
+    kept = (F.col("row") == F.col("head.row")) & (F.col("line") == F.col("head.line"))
+    return places.join(heads, "vid").select("row", "doc_id", "line", F.col("head.doc_id").alias("group_doc"), F.col("head.line").alias("group_line"), kept.alias("kept"))
 
 
 def drop_repeated_lines(docs: DataFrame, **options) -> DataFrame:
     """``docs`` with their columns, without the lines that repeat an earlier one. A document that loses
     its last line with a letter or digit goes; one that never had any stays as it was. n_chars, if
     there, is counted anew."""
-    gone = repeated_lines(docs, **options).where("not kept").groupBy("doc_id").agg(F.collect_set("line").alias("_evenbox_gone"))
-    marked = docs.join(gone, "doc_id", "left")
+    scratch = options.pop("scratch", None) or Scratch(docs.sparkSession, "lines")
+    rows = numbered(docs, scratch)
+    gone = grouped_lines(rows, scratch, **options).where("not kept").groupBy(F.col("row").alias(ROW)).agg(F.collect_set("line").alias("_evenbox_gone"))
+    marked = rows.join(gone, ROW, "left")
     rest = F.filter(F.split("text", "\n"), lambda line, i: ~F.array_contains("_evenbox_gone", i))
     text = F.when(F.col("_evenbox_gone").isNull(), F.col("text")).otherwise(F.array_join(rest, "\n"))
     cut = marked.withColumn("text", text).where(F.col("_evenbox_gone").isNull() | F.col("text").rlike(r"[\p{L}\p{N}]"))

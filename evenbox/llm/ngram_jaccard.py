@@ -16,8 +16,8 @@ The order comes from shingle counts of all documents in a table of fixed size; a
 same links, a good one fewer candidates.
 
 Defined results: null, empty and wordless texts have n_shingles 0 and are alone; fewer than k words make one
-shingle of the whole sequence; repeated rows of one doc_id come back as often; a null doc_id is in the component of documents with its
-very set, and has a null one if there are none; an empty table gives no rows; extra columns are ignored.
+shingle of the whole sequence; every row is linked by its own text, whether its doc_id is null or repeated; a component of null
+doc_ids alone has a null component_id; an empty table gives no rows; extra columns are ignored.
 """
 
 from __future__ import annotations
@@ -32,7 +32,7 @@ from pyspark.sql import functions as F
 
 from evenbox.llm.bytewords import Words, combine, mix64, slices, text_bytes
 from evenbox.llm.components import connected_components
-from evenbox.llm.scratch import Scratch, shuffle_width
+from evenbox.llm.scratch import ROW, Scratch, numbered, shuffle_width
 
 GROUP = 32
 SKETCH = 4
@@ -223,6 +223,21 @@ def link_groups(docs: DataFrame, members: DataFrame, pairs: DataFrame, scratch:
 
 def jaccard_components(docs: DataFrame, k: int = 5, num: int = 80, den: int = 100, group: int = GROUP) -> DataFrame:
     """doc_id, n_shingles, component_id (smallest doc_id reachable by links) of every row of ``docs``."""
+    scratch = Scratch(docs.sparkSession, "jaccard-rows")
+    rows = numbered(docs.select("doc_id", "text"), scratch)
+    classes = scratch.write(row_components(rows, k, num, den, group), "classes").join(rows.select(ROW, "doc_id"), ROW)
+    least = classes.groupBy("component").agg(F.min("doc_id").alias("component_id"))
+    return classes.join(least, "component").select("doc_id", "n_shingles", "component_id")
+
+
+def row_components(rows: DataFrame, k: int = 5, num: int = 80, den: int = 100, group: int = GROUP) -> DataFrame:
+    """The number, n_shingles and component (smallest number reachable by links) of every ``numbered`` row."""
+    classes = _components(rows.select(F.col(ROW).alias("doc_id"), "text"), k, num, den, group)
+    return classes.select(F.col("doc_id").alias(ROW), "n_shingles", F.col("component_id").alias("component"))
+
+
+def _components(docs: DataFrame, k: int, num: int, den: int, group: int) -> DataFrame:
+    """doc_id, n_shingles, component_id of rows whose doc_ids are all different and not null."""
     spark = docs.sparkSession
     scratch = Scratch(spark, "jaccard")
     docs = docs.select("doc_id", "text")

@@ -13,6 +13,7 @@ import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 _own: dict[str, str] = {}
 
@@ -91,5 +92,14 @@ class Scratch:
         self.spark._jvm.System.gc()
 
 
+#: the column that names a row, where doc_ids are null or repeated
+ROW = "_evenbox_row"
+
+
+def numbered(df: DataFrame, scratch: Scratch) -> DataFrame:
+    """``df`` with a number of its own for each row, written so that it stays the same."""
+    return scratch.write(df.withColumn(ROW, F.monotonically_increasing_id()), "numbered")
+
+
 def shuffle_width(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))

@@ -473,6 +473,22 @@ def test_edits(spark, edge, none):
     assert edit_counts.edited_counts(none).count() == 0
 
 
+def test_stages_keep_rows_with_null_and_repeated_ids(spark, small):
+    import corpus_pipeline
+
+    text = lambda seed: " ".join(random.Random(seed).choice("abcdefgh") + str(random.Random(seed * 100 + i).randint(0, 10**6)) for i in range(30))
+    one, two, three, four, five = map(text, range(5))
+    rows = [(None, one), (None, two), (1, two), (5, three), (5, f"{four}\n{three}"), (5, f"{four}\n{three}"), (7, five)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    lined = sorted((r["doc_id"] or -1, r["text"]) for r in corpus_pipeline.line_dedup(spark, docs, small).collect())
+    assert lined == sorted([(-1, one), (-1, two), (5, three), (5, four), (7, five)])
+    near = sorted((r["doc_id"] or -1, r["text"]) for r in corpus_pipeline.near_duplicates(spark, docs, small).collect())
+    assert near == sorted([(-1, one), (1, two), (5, three), (5, f"{four}\n{three}"), (7, five)])
+    linked = spark.createDataFrame([(5, three), (5, four), (6, four), (3, three)], "doc_id long, text string")
+    got = sorted((r["doc_id"], r["component_id"]) for r in ngram_jaccard.jaccard_components(linked).collect())
+    assert got == [(3, 3), (5, 3), (5, 5), (6, 5)]
+
+
 def test_pipeline(spark, small):
     import corpus_pipeline
 
