@@ -91,11 +91,11 @@ def _file_system(root: str):
 
 
 def mark_revisits(pages: DataFrame, min_revisit: int = 0) -> DataFrame:
-    """page_id and response (the smallest page_id of its payload) of the pages that are not that one."""
+    """page_id, digest and response (the smallest page_id of that payload) of the pages that are not that one."""
     payload = F.coalesce("html", F.lit(""))
     named = pages.where(F.octet_length(payload) >= min_revisit).select("page_id", F.unhex(F.sha1(payload)).alias("digest"))
     firsts = named.groupBy("digest").agg(F.min("page_id").alias("response"), F.max("page_id").alias("last")).where("response < last").drop("last")
-    return named.join(firsts, "digest").where("page_id > response").select("page_id", "response").distinct()
+    return named.join(firsts, "digest").where("page_id > response").select("page_id", "digest", "response").distinct()
 
 
 def write_archives(pages: DataFrame, root: str, scratch: Scratch, min_revisit: int = 0, date: str = "2024-01-01T00:00:00Z", sample_bytes: int = SAMPLE_BYTES, file_bytes: int = FILE_BYTES) -> DataFrame:
@@ -109,8 +109,9 @@ def write_archives(pages: DataFrame, root: str, scratch: Scratch, min_revisit: i
     sample = pages.where(share & (size <= 16 * max(mean, 1))).orderBy(F.xxhash64("page_id"), "page_id").limit(count).collect()
     records = [make_record(r["page_id"], r["url"], (r["html"] or "").encode(), None, date) for r in sample]
     dictionary = pages.sparkSession.sparkContext.broadcast(train_dictionary(records) if records else b"")
-    revisits = scratch.write(mark_revisits(pages, min_revisit), "revisits").withColumnRenamed("page_id", "again")
-    marked = pages.join(revisits, pages["page_id"] == revisits["again"], "left").select("page_id", "url", F.coalesce("html", F.lit("")).alias("html"), "response")
+    revisits = scratch.write(mark_revisits(pages, min_revisit), "revisits").withColumnsRenamed({"page_id": "again", "digest": "payload"})
+    digest = F.unhex(F.sha1(F.coalesce(pages["html"], F.lit(""))))
+    marked = pages.join(revisits, (pages["page_id"] == revisits["again"]) & (digest == revisits["payload"]), "left").select("page_id", "url", F.coalesce("html", F.lit("")).alias("html"), "response")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import zstandard

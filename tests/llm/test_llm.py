@@ -379,6 +379,14 @@ def test_archives(spark, none):
     assert warc_archives.archive_digest(df.where("false")).count() == 0
 
 
+def test_archives_of_a_repeated_page_id(spark):
+    rows = [(1, "http://x/1", "<p>old</p>"), (2, "http://x/2", "<p>also</p>"), (5, "http://x/5", "<p>old</p>"), (5, "http://x/5", "<p>unique</p>"), (5, "http://x/5", "<p>also</p>")]
+    found = warc_archives.archive_digest(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()
+    name = {base64.b32encode(hashlib.sha1(h.encode()).digest()).decode(): h for *_, h in rows}
+    got = sorted((r["page_id"], name[r["payload_digest"]], r["record_type"], r["refers_to"] or 0) for r in found)
+    assert got == [(1, "<p>old</p>", "response", 0), (2, "<p>also</p>", "response", 0), (5, "<p>also</p>", "revisit", 2), (5, "<p>old</p>", "revisit", 1), (5, "<p>unique</p>", "response", 0)]
+
+
 def test_myers():
     pick = random.Random(0)
 
