@@ -40,6 +40,13 @@ def test_against_sql(spark, small, duck, name):
     assert got == want
 
 
+def test_knn_asks_for_every_100th_order(spark, small):
+    points = [(r["o_orderkey"], r["x"], r["y"]) for r in T.points(spark, small, "orders").select("o_orderkey", "x", "y").collect()]
+    want = {(q, p[0], rank) for q, x, y in points if q % 100 == 0 for rank, p in enumerate(sorted(points, key=lambda p: ((p[1] - x) ** 2 + (p[2] - y) ** 2, p[0]))[:10], 1)}
+    got = {(r["qid"], r["o_orderkey"], r["rank"]) for r in workloads.queries()["knn_every_100"](spark, small).collect()}
+    assert got == want and len(want) == 10 * sum(q % 100 == 0 for q, *_ in points)
+
+
 @pytest.mark.parametrize("method", learn.METHODS)
 def test_every_method_places_every_record(spark, small, method):
     df = T.points(spark, small, "documents_hash")
