@@ -47,6 +47,12 @@ def test_knn_asks_for_every_100th_order(spark, small):
     assert got == want and len(want) == 10 * sum(q % 100 == 0 for q, *_ in points)
 
 
+def test_lateral_topk_serves_every_customer(spark, small, duck):
+    got = sorted((r["c_custkey"], r["o_orderkey"]) for r in workloads.queries()["join_lateral_topk_all"](spark, small).collect())
+    assert got == sorted(duck.execute(registry.SQL["join_lateral_topk_all"]).fetchall())
+    assert len({c for c, _ in got}) == duck.execute("SELECT count(DISTINCT o_custkey) FROM orders JOIN customer ON o_custkey = c_custkey").fetchone()[0]
+
+
 @pytest.mark.parametrize("method", learn.METHODS)
 def test_every_method_places_every_record(spark, small, method):
     df = T.points(spark, small, "documents_hash")
