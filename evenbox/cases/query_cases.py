@@ -252,8 +252,7 @@ def _neighbours(spark, sf_dir, every: int, k: int) -> Frame:
     return idx.knn(asked, k, ["o_orderkey"]).select("qid", "o_orderkey", "rank")
 
 
-case("knn", _KNN.format(every=1000, k=10))(lambda spark, sf_dir: _neighbours(spark, sf_dir, 1000, 10))
-case("knn_every_100", _KNN.format(every=100, k=10))(lambda spark, sf_dir: _neighbours(spark, sf_dir, 100, 10))
+case("knn", _KNN.format(every=100, k=10))(lambda spark, sf_dir: _neighbours(spark, sf_dir, 100, 10))
 case("knn_join", _KNN.format(every=100, k=3))(lambda spark, sf_dir: _neighbours(spark, sf_dir, 100, 3))
 
 

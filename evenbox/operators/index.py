@@ -12,6 +12,7 @@ from pyspark.sql.types import IntegerType, StructField, StructType
 from evenbox.functions import geom
 from evenbox.functions.curves import lattice, z_key
 from evenbox.operators import quality
+from evenbox.operators.meeting import CellGrid
 from evenbox.operators.router import route
 from evenbox.plans.baselines import CurveLayout
 from evenbox.plans.grow import Layout
@@ -21,8 +22,8 @@ def write_index(df: DataFrame, layout: Layout | CurveLayout, path: str, axes: Se
     """Route, shuffle once so that a partition is one task, sort each along a curve for row-group skipping, and write."""
     routed = route(df, layout, axes)
     parts = layout.parts + 1  # and the one for records without a place
-    ends = df.agg(*[f(a).alias(f"{n}_{a}") for a in axes for n, f in (("lo", F.min), ("hi", F.max))]).first()
-    near = z_key([lattice(F.col(a), ends[f"lo_{a}"] or 0.0, ends[f"hi_{a}"] or 1.0, 12) for a in axes], 12) if len(axes) < 6 else F.col(axes[0])
+    low, high = layout.extent(len(axes))
+    near = z_key([lattice(F.col(a), lo, hi, 12) for a, lo, hi in zip(axes, low, high, strict=True)], 12) if len(axes) < 6 else F.col(axes[0])
     placed = routed.repartitionById(parts, F.col("part_id") + 1).withColumn("_near", near).sortWithinPartitions("part_id", "_near").drop("_near")
     placed.write.mode("overwrite").partitionBy("part_id").parquet(f"{path}/data")
     index = Index(df.sparkSession, path, tuple(axes), StructType([*df.schema.fields, StructField("part_id", IntegerType())]))
@@ -72,33 +73,43 @@ class Index:
     def range_batch(self, queries: DataFrame) -> DataFrame:
         """(qid, record) of many query boxes (qlo_/qhi_ columns) in one scan of the partitions they touch."""
         qlo, qhi = [F.col(f"qlo_{a}") for a in self.axes], [F.col(f"qhi_{a}") for a in self.axes]
-        ends = quality._ends(self.axes)
-        met = queries.join(F.broadcast(self.manifest()), geom.overlaps(*ends, qlo, qhi)).select(*queries.columns, F.col("part_id").alias("_part"), geom.contains(qlo, qhi, *ends).alias("_inside"))
+        met = quality._asked(queries, self.manifest(), self.axes).select(*queries.columns, F.col("part_id").alias("_part"), geom.contains(qlo, qhi, *quality._ends(self.axes)).alias("_inside"))
         data = self.data()
         inside = F.col("_inside") | geom.every([F.col(a).between(low, high) for a, low, high in zip(self.axes, qlo, qhi, strict=True)])
-        return data.join(F.broadcast(met), F.col("part_id") == F.col("_part")).where(inside).select("qid", *data.columns)
+        # the pairs of queries and partitions grow with both, so Spark decides by their size whether they are broadcast
+        return data.join(met, F.col("part_id") == F.col("_part")).where(inside).select("qid", *data.columns)
 
     def knn(self, queries: DataFrame, k: int, keys: Sequence[str]) -> DataFrame:
         """The k records nearest to each query point (columns q_<axis>), ties by key.
 
-        Round one: partitions in order of distance until they hold k records give a radius from their k-th distance. Round two: every partition within that radius.
+        Round one: the partitions that share the query's cell of a grid over the manifest give a radius, from the k-th record they have. Queries whose
+        cell has fewer records take partitions in order of distance until they hold k. Round two: every partition within the radius, found by cells too.
         """
         at = [F.col(f"q_{a}") for a in self.axes]
         ends = quality._ends(self.axes)
-        man = F.broadcast(self.manifest().select("part_id", "n_rows", *[F.col(f"{e}_{a}") for a in self.axes for e in ("lo", "hi")]))
-        gaps = queries.crossJoin(man).select(*queries.columns, F.col("part_id").alias("_part"), "n_rows", geom.gap_squared(*ends, at).alias("_gap"))
-        ahead = Window.partitionBy("qid").orderBy("_gap", "_part").rowsBetween(Window.unboundedPreceding, -1)
-        near = gaps.withColumn("_before", F.coalesce(F.sum("n_rows").over(ahead), F.lit(0))).where(F.col("_before") < k)
+        names = [f"lo_{a}" for a in self.axes], [f"hi_{a}" for a in self.axes]
+        man = self.manifest().select("part_id", "n_rows", *names[0], *names[1])
+        grid = CellGrid(man, *names)
+        held = grid.dealt(man, *names, "b")
+        gap = geom.gap_squared(*ends, at)
         data = self.data()
         far = geom.distance_squared([F.col(a) for a in self.axes], at)
         rank = Window.partitionBy("qid").orderBy("d2", *keys)
 
         def nearest(parts: DataFrame) -> DataFrame:
-            held = data.join(F.broadcast(parts.select(*queries.columns, "_part")), F.col("part_id") == F.col("_part"))
-            return held.withColumn("d2", far).withColumn("rank", F.row_number().over(rank)).where(F.col("rank") <= k)
+            found = data.join(parts.select(*queries.columns, F.col("part_id").alias("_part")), F.col("part_id") == F.col("_part"))
+            return found.withColumn("d2", far).withColumn("rank", F.row_number().over(rank)).where(F.col("rank") <= k)
 
-        radius = nearest(near).groupBy("qid").agg(F.max("d2").alias("_radius"))
-        return nearest(gaps.join(radius, "qid").where(F.col("_gap") <= F.col("_radius"))).select("qid", *keys, "d2", "rank")
+        home = grid.dealt(queries, at, at, "a").join(held, grid.same_cells()).select(*queries.columns, "part_id").distinct()
+        radius = nearest(home).where(F.col("rank") == k).select("qid", F.col("d2").alias("_radius"))
+        ahead = Window.partitionBy("qid").orderBy("_gap", "part_id").rowsBetween(Window.unboundedPreceding, -1)
+        gaps = queries.join(radius, "qid", "left_anti").crossJoin(man).withColumn("_gap", gap)
+        near = gaps.withColumn("_before", F.coalesce(F.sum("n_rows").over(ahead), F.lit(0))).where(F.col("_before") < k)
+        radius = radius.unionByName(nearest(near).groupBy("qid").agg(F.max("d2").alias("_radius")))
+        around = queries.join(radius, "qid")
+        reach = F.sqrt("_radius") * (1 + 1e-9)
+        within = grid.dealt(around, [c - reach for c in at], [c + reach for c in at], "a").join(held, grid.same_cells()).where(gap <= F.col("_radius"))
+        return nearest(within.select(*queries.columns, "part_id").distinct()).select("qid", *keys, "d2", "rank")
 
 
 def grid_queries(spark: SparkSession, low: Sequence[float], high: Sequence[float], n: int, fraction: float, axes: Sequence[str] = ("x", "y")) -> DataFrame:

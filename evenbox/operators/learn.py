@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import time
 from collections.abc import Sequence
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 import numpy as np
 import pandas as pd
@@ -15,7 +15,7 @@ from evenbox.functions.sizing import ceil_div
 from evenbox.operators import phase1
 from evenbox.plans import baselines
 from evenbox.plans.cut import Counters
-from evenbox.plans.grow import Layout, Tree, grow, grow_top, plan_spec
+from evenbox.plans.grow import Layout, Tree, default_headroom, grow, grow_top, plan_spec
 from evenbox.plans.rstar_insert import rstar_insert
 
 METHODS = ("mbs_plain", "mbs_count", "mbs_bytes", "str", "kd", "z", "hilbert", "quad", "grid", "rstar_insert")
@@ -26,18 +26,22 @@ class Learned:
     layout: Layout | baselines.CurveLayout
     method: str
     points: int
+    #: of the boundaries alone
     seconds: float
+    #: of every phase before routing, by name
+    phases: dict[str, float] = field(default_factory=dict)
 
 
 def learn(df: DataFrame, method: str, block: int, axes: Sequence[str] = ("x", "y"), ratio: float = 1.0, alpha: float = 0.95, rho: float = 0.4, headroom: float | None = None, capacity: str = "block", orphans: str = "nearest", seed: int = 0, cost: str = "area", grid: Sequence[int] | None = None) -> Learned:
     """Sample ``df`` (axes, bytes, kh) and grow the boundaries on the driver.
 
-    headroom applies to the balanced methods; None is the default margin, 0 the plain setting.
+    headroom lowers the aimed size of every method alike; None is the default margin, 0 the plain setting.
     """
+    marks = [time.perf_counter()]
     good = df.where(phase1.valid(axes))
     row = phase1.summarize(good, axes).first()
     data, d = row["n_bytes"] or 0, len(axes)
-    parts = max(1, ceil_div(data, block))
+    marks.append(time.perf_counter())
     sample = phase1.sample_by_hash(good, ratio, seed)
     weights = None
     if method == "mbs_bytes":
@@ -47,12 +51,16 @@ def learn(df: DataFrame, method: str, block: int, axes: Sequence[str] = ("x", "y
         histogram = phase1.byte_histogram(good, low, high, grid, axes)
         sample = phase1.weigh(sample.select(*axes, "kh"), histogram, phase1.cell_number(low, high, grid, axes), orphans, grid)
     points, hashes, weights = phase1.to_numpy(sample, axes, "w" if method == "mbs_bytes" else None)
-    began = time.perf_counter()
     n = len(points)
+    marks.append(time.perf_counter())
+    if headroom is None:
+        headroom = default_headroom(n, data, block)
+    aimed = max(1, int(block * (1 - headroom)))
+    parts, each = max(1, ceil_div(data, aimed)), max(1, ceil_div(n * aimed, max(data, 1)))
     if not n:
         layout = Layout(method, Tree(), {0: ([], [])}, {0: 0.0}, {0: 0}, Counters())
     elif method.startswith("mbs_"):
-        spec = plan_spec(method.removeprefix("mbs_"), n, data, block, None if weights is None else float(weights.sum()), alpha, rho, headroom if method != "mbs_plain" else 0.0, capacity, cost)
+        spec = plan_spec(method.removeprefix("mbs_"), n, data, block, None if weights is None else float(weights.sum()), alpha, rho, headroom, capacity, cost)
         layout = grow(points, hashes, spec, weights, method=method)
     elif method == "str":
         layout = baselines.slabs(points, hashes, parts)
@@ -61,15 +69,17 @@ def learn(df: DataFrame, method: str, block: int, axes: Sequence[str] = ("x", "y
     elif method in ("z", "hilbert"):
         layout = baselines.curve_runs(points, parts, method)
     elif method == "quad":
-        layout = baselines.quadrants(points, hashes, ceil_div(n * block, max(data, 1)))
+        layout = baselines.quadrants(points, hashes, each)
     elif method == "grid":
         layout = baselines.uniform(points, hashes, parts)
     elif method == "rstar_insert":
-        most = max(2, ceil_div(n * block, max(data, 1)))
+        most = max(2, each)
         layout = rstar_insert(points, max(1, int(0.3 * most)), most)
     else:
         raise ValueError(f"no method {method}")
-    return Learned(layout, method, n, time.perf_counter() - began)
+    marks.append(time.perf_counter())
+    phases = {name: b - a for name, a, b in zip(("summary", "sample", "boundaries"), marks, marks[1:], strict=False)}
+    return Learned(layout, method, n, phases["boundaries"], phases)
 
 
 def grow_distributed(df: DataFrame, block: int, axes: Sequence[str] = ("x", "y"), ratio: float = 1.0, top_points: int = 2000, variant: str = "count", alpha: float = 0.95, rho: float = 0.4, headroom: float | None = None, top_leaves: int = 8) -> DataFrame:

@@ -12,6 +12,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from evenbox.functions import geom
+from evenbox.operators.meeting import meeting
 
 
 def manifest(routed: DataFrame, axes: Sequence[str] = ("x", "y"), block: int | None = None) -> DataFrame:
@@ -34,6 +35,23 @@ def _ends(axes: Sequence[str], alias: str = "") -> tuple[list, list]:
     return [F.col(f"{dot}lo_{a}") for a in axes], [F.col(f"{dot}hi_{a}") for a in axes]
 
 
+def _names(axes: Sequence[str], side: str) -> tuple[list[str], list[str]]:
+    return [f"lo_{a}_{side}" for a in axes], [f"hi_{a}_{side}" for a in axes]
+
+
+def _sided(man: DataFrame, axes: Sequence[str], side: str) -> DataFrame:
+    """A manifest's ids, blocks and ends under names of one side of a join."""
+    ends = [F.col(f"{e}_{a}").alias(f"{e}_{a}_{side}") for a in axes for e in ("lo", "hi")]
+    blocks = [F.col("blocks").alias(f"blocks_{side}")] if "blocks" in man.columns else []
+    return man.select(F.col("part_id").alias(f"part_{side}"), *blocks, *ends)
+
+
+def _asked(queries: DataFrame, man: DataFrame, axes: Sequence[str]) -> DataFrame:
+    """Queries (qid, qlo_/qhi_) with the partitions that they meet."""
+    held = man.select("part_id", *[c for c in ("blocks", "n_rows") if c in man.columns], *[f"{e}_{a}" for a in axes for e in ("lo", "hi")])
+    return meeting(queries, held, ([f"qlo_{a}" for a in axes], [f"qhi_{a}" for a in axes]), ([f"lo_{a}" for a in axes], [f"hi_{a}" for a in axes]))
+
+
 def total_volume(man: DataFrame, axes: Sequence[str] = ("x", "y")) -> DataFrame:
     return man.agg(F.sum(F.col("blocks") * geom.volume(*_ends(axes))).alias("volume"))
 
@@ -44,9 +62,10 @@ def total_margin(man: DataFrame, axes: Sequence[str] = ("x", "y")) -> DataFrame:
 
 def total_overlap(man: DataFrame, axes: Sequence[str] = ("x", "y"), ordered: bool = False) -> DataFrame:
     """Shared volume over pairs of blocks, those of one partition included. ordered: both orders of a pair of partitions count."""
-    a, b = man.alias("a"), F.broadcast(man.alias("b"))  # the manifest has a row for each partition
-    pairs = a.join(b, (F.col("a.part_id") < F.col("b.part_id")) & geom.overlaps(*_ends(axes, "a"), *_ends(axes, "b")))
-    across = pairs.select((F.col("a.blocks") * F.col("b.blocks") * geom.overlap_volume(*_ends(axes, "a"), *_ends(axes, "b")) * (2 if ordered else 1)).alias("v"))
+    a, b = _sided(man, axes, "a"), _sided(man, axes, "b")
+    pairs = meeting(a, b, _names(axes, "a"), _names(axes, "b")).where("part_a < part_b")
+    shared = geom.overlap_volume(*[[F.col(c) for c in side] for x in "ab" for side in _names(axes, x)])
+    across = pairs.select((F.col("blocks_a") * F.col("blocks_b") * shared * (2 if ordered else 1)).alias("v"))
     own = man.select((F.expr("blocks * (blocks - 1) / 2") * geom.volume(*_ends(axes))).alias("v"))
     return across.unionByName(own).agg(F.coalesce(F.sum("v"), F.lit(0.0)).alias("overlap"))
 
@@ -74,15 +93,15 @@ def all_measures(man: DataFrame, block: int, axes: Sequence[str] = ("x", "y")) -
 
 def range_cost(man: DataFrame, queries: DataFrame, axes: Sequence[str] = ("x", "y")) -> DataFrame:
     """qid, blocks, parts: what each query box (qlo_/qhi_ columns) has to read."""
-    qlo, qhi = [F.col(f"qlo_{a}") for a in axes], [F.col(f"qhi_{a}") for a in axes]
-    met = queries.join(F.broadcast(man), geom.overlaps(*_ends(axes), qlo, qhi), "left")
-    return met.groupBy("qid").agg(F.coalesce(F.sum("blocks"), F.lit(0)).alias("blocks"), F.count("part_id").alias("parts"))
+    met = _asked(queries, man, axes).select("qid", "blocks", "part_id")
+    every = queries.select("qid", F.lit(0).cast("long").alias("blocks"), F.lit(None).cast("int").alias("part_id")).unionByName(met)
+    return every.groupBy("qid").agg(F.sum("blocks").alias("blocks"), F.count("part_id").alias("parts"))
 
 
 def join_cost(left: DataFrame, right: DataFrame, axes: Sequence[str] = ("x", "y")) -> DataFrame:
     """Of a join of two manifests: partition pairs, block pairs, block reads, distinct blocks."""
-    met = left.alias("a").join(F.broadcast(right.alias("b")), geom.overlaps(*_ends(axes, "a"), *_ends(axes, "b")))
-    met = met.select(F.col("a.part_id").alias("pa"), F.col("a.blocks").alias("ba"), F.col("b.part_id").alias("pb"), F.col("b.blocks").alias("bb"))
+    met = meeting(_sided(left, axes, "a"), _sided(right, axes, "b"), _names(axes, "a"), _names(axes, "b"))
+    met = met.select(F.col("part_a").alias("pa"), F.col("blocks_a").alias("ba"), F.col("part_b").alias("pb"), F.col("blocks_b").alias("bb"))
     once = met.select(F.struct(F.lit(0).alias("side"), F.col("pa").alias("p")).alias("k"), F.col("ba").alias("n")).unionByName(met.select(F.struct(F.lit(1).alias("side"), F.col("pb").alias("p")).alias("k"), F.col("bb").alias("n"))).distinct()
     sums = met.agg(F.count("*").alias("pairs"), F.coalesce(F.sum(F.col("ba") * F.col("bb")), F.lit(0)).alias("block_pairs"), F.coalesce(F.sum(F.col("ba") + F.col("bb")), F.lit(0)).alias("block_reads"))
     return sums.crossJoin(once.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("distinct_blocks")))
@@ -91,9 +110,11 @@ def join_cost(left: DataFrame, right: DataFrame, axes: Sequence[str] = ("x", "y"
 def prune_report(man: DataFrame, queries: DataFrame, axes: Sequence[str] = ("x", "y")) -> DataFrame:
     """Partitions that a query misses, contains, or only touches."""
     qlo, qhi = [F.col(f"qlo_{a}") for a in axes], [F.col(f"qhi_{a}") for a in axes]
-    meet, inside = geom.overlaps(*_ends(axes), qlo, qhi), geom.contains(qlo, qhi, *_ends(axes))
-    count = lambda flag: F.sum(flag.cast("long"))
-    return queries.crossJoin(F.broadcast(man)).groupBy("qid").agg(count(~meet).alias("pruned"), count(inside).alias("contained"), count(meet & ~inside).alias("boundary"))
+    met = _asked(queries, man, axes).select("qid", geom.contains(qlo, qhi, *_ends(axes)).alias("inside"))
+    every = queries.select("qid", F.lit(None).cast("boolean").alias("inside")).unionByName(met)
+    met = every.groupBy("qid").agg(F.count("inside").alias("met"), F.coalesce(F.sum(F.col("inside").cast("long")), F.lit(0)).alias("contained"))
+    total = man.agg(F.count("*").alias("n"))  # one row
+    return met.crossJoin(F.broadcast(total)).select("qid", (F.col("n") - F.col("met")).alias("pruned"), "contained", (F.col("met") - F.col("contained")).alias("boundary"))
 
 
 def replication(man: DataFrame, records: int) -> DataFrame:

@@ -80,10 +80,10 @@ def _route_arrow(df: DataFrame, tree: Tree, axes: Sequence[str]) -> DataFrame:
     return df.mapInArrow(run, schema)
 
 
-def route_boxes(df: DataFrame, tree: Tree, lo: Sequence[str], hi: Sequence[str]) -> DataFrame:
-    """A row of ``df`` for every leaf region its box meets (closed on both sides): the replicated, disjoint layout."""
+def _with_leaves(df: DataFrame, tree: Tree, lo: Sequence[str], hi: Sequence[str]) -> DataFrame:
+    """``df`` with _leaves, the leaf regions its box meets (closed on both sides)."""
     if not tree.axis:
-        return df.withColumn("part_id", F.lit(0))
+        return df.withColumn("_leaves", F.array(F.lit(0)))
     named = tree_frame(df.sparkSession, tree).select(F.struct("axis", F.transform("cut", lambda c: c[0]).alias("cut"), "lo", "hi").alias("_tree"))
     t = F.col("_tree")
     low, high = F.array(*[F.col(c).cast("double") for c in lo]), F.array(*[F.col(c).cast("double") for c in hi])
@@ -96,7 +96,34 @@ def route_boxes(df: DataFrame, tree: Tree, lo: Sequence[str], hi: Sequence[str])
 
     front = F.aggregate(F.sequence(F.lit(1), F.lit(tree.depth())), F.array(F.lit(0)), lambda nodes, _: F.flatten(F.transform(nodes, children)))
     routed = df.withColumns({"_low": low, "_high": high}).crossJoin(F.broadcast(named))
-    return routed.withColumn("part_id", F.explode(F.transform(front, lambda n: -(n + 1)))).drop("_tree", "_low", "_high")
+    return routed.withColumn("_leaves", F.transform(front, lambda n: -(n + 1))).drop("_tree", "_low", "_high")
+
+
+def route_boxes(df: DataFrame, tree: Tree, lo: Sequence[str], hi: Sequence[str]) -> DataFrame:
+    """A row of ``df`` for every leaf region its box meets (closed on both sides): the replicated, disjoint layout."""
+    return _with_leaves(df, tree, lo, hi).withColumn("part_id", F.explode("_leaves")).drop("_leaves")
+
+
+def route_auto(df: DataFrame, tree: Tree, boxes: DataFrame, lo: Sequence[str], hi: Sequence[str], by: str = "area") -> DataFrame:
+    """One partition for each record: the box that alone contains it, if there is one; else that of least enlargement among the
+    leaves whose regions the record meets. Only that shortlist is looked at, so a record costs the depth of the tree.
+
+    ``boxes`` (part_id from 0 without gaps, blo, bhi) becomes one array of a row for each partition.
+    """
+    one = boxes.agg(F.array_sort(F.collect_list(F.struct("part_id", "blo", "bhi"))).alias("_boxes"))
+    d = len(lo)
+    at = lambda i: F.get(F.col("_boxes"), i)
+    ends = lambda b: ([b["blo"][i] for i in range(d)], [b["bhi"][i] for i in range(d)])
+
+    def cost(i: Column) -> Column:
+        blo, bhi = ends(at(i))
+        own = (geom.volume if by == "area" else geom.margin)(blo, bhi)
+        return F.struct(geom.enlargement(blo, bhi, geom.cols(lo), geom.cols(hi), by).alias("grow"), own.alias("own"), i.alias("part_id"))
+
+    holding = F.filter("_leaves", lambda i: geom.contains(*ends(at(i)), geom.cols(lo), geom.cols(hi)))
+    routed = _with_leaves(df, tree, lo, hi).crossJoin(F.broadcast(one)).withColumn("_in", holding)
+    place = F.when(F.size("_in") == 1, F.get("_in", F.lit(0))).otherwise(F.array_min(F.transform("_leaves", cost))["part_id"])
+    return routed.withColumn("part_id", place).drop("_leaves", "_boxes", "_in")
 
 
 def route_anchor(df: DataFrame, tree: Tree, lo: Sequence[str], hi: Sequence[str]) -> DataFrame:

@@ -17,6 +17,7 @@ from pyspark.sql import functions as F
 
 from evenbox.functions import geom
 from evenbox.operators import quality
+from evenbox.operators.meeting import meeting
 from evenbox.operators.router import route_boxes, route_points
 from evenbox.plans.grow import Tree
 
@@ -42,9 +43,10 @@ def predicate(kind: str, distance: float = 0.0, a: str = "a", b: str = "b") -> C
 def pair_partitions(left: DataFrame, right: DataFrame, distance: float = 0.0) -> DataFrame:
     """(pa, pb, pair) of partitions whose boxes meet; inputs are manifests with lo_/hi_ columns."""
     axes = ("x", "y")
-    lo, hi = quality._ends(axes, "a")
-    met = left.alias("a").join(F.broadcast(right.alias("b")), geom.overlaps([c - distance for c in lo], [c + distance for c in hi], *quality._ends(axes, "b")))
-    return met.select(F.col("a.part_id").alias("pa"), F.col("b.part_id").alias("pb"), (F.col("a.part_id").cast("long") * (1 << 32) + F.col("b.part_id")).alias("pair"))
+    a, b = quality._sided(left, axes, "a"), quality._sided(right, axes, "b")
+    a = a.withColumns({f"lo_{x}_a": F.col(f"lo_{x}_a") - distance for x in axes} | {f"hi_{x}_a": F.col(f"hi_{x}_a") + distance for x in axes})
+    met = meeting(a, b, quality._names(axes, "a"), quality._names(axes, "b"))
+    return met.select(F.col("part_a").alias("pa"), F.col("part_b").alias("pb"), (F.col("part_a").cast("long") * (1 << 32) + F.col("part_b")).alias("pair"))
 
 
 def spatial_join(left: DataFrame, right: DataFrame, kind: str = "intersects", distance: float = 0.0, how: str = "inner", local: str = "hash", left_keys: Sequence[str] = (), right_keys: Sequence[str] = ()) -> DataFrame:
@@ -55,8 +57,8 @@ def spatial_join(left: DataFrame, right: DataFrame, kind: str = "intersects", di
     """
     reach = distance if kind == "distance" else 0.0
     pairs = pair_partitions(quality.box_manifest(left, LO, HI), quality.box_manifest(right, LO, HI), reach)
-    a = left.join(F.broadcast(pairs.select("pa", "pair")), F.col("part_id") == F.col("pa"))
-    b = right.join(F.broadcast(pairs.select("pb", "pair")), F.col("part_id") == F.col("pb"))
+    a = left.join(pairs.select("pa", "pair"), F.col("part_id") == F.col("pa"))
+    b = right.join(pairs.select("pb", "pair"), F.col("part_id") == F.col("pb"))
     if local == "sweep":
         found = _swept(a, b, left_keys, right_keys, kind, reach)
     else:

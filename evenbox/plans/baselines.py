@@ -160,6 +160,9 @@ class CurveLayout:
     def parts(self) -> int:
         return len(self.cuts) + 1
 
+    def extent(self, d: int) -> tuple[list[float], list[float]]:
+        return self.low, self.high
+
     def cells(self, points: np.ndarray) -> np.ndarray:
         low, high = np.array(self.low), np.array(self.high)
         top = (1 << self.bits) - 1

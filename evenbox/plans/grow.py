@@ -87,6 +87,11 @@ class Layout:
     def parts(self) -> int:
         return len(self.boxes)
 
+    def extent(self, d: int) -> tuple[list[float], list[float]]:
+        """The box of the sample the layout was learned from."""
+        ends = [b for b in self.boxes.values() if len(b[0]) == d]
+        return ([min((b[0][i] for b in ends), default=0.0) for i in range(d)], [max((b[1][i] for b in ends), default=1.0) for i in range(d)])
+
 
 def scale(points: np.ndarray) -> np.ndarray:
     """Coordinates in units of each axis' extent, so margins of different units can be added."""
@@ -137,14 +142,19 @@ def grow(points: np.ndarray, hashes: np.ndarray, spec: Spec, weights: np.ndarray
     return Layout(method or f"mbs_{spec.variant}", tree, boxes, totals, counts, counters, spec)
 
 
+def default_headroom(n: int, data: int, block: int) -> float:
+    """1.5 / sqrt(points of a leaf), .15 at most."""
+    return min(0.15, 1.5 / np.sqrt(max(1, ceil_div(n * block, max(data, 1)))))
+
+
 def plan_spec(variant: str, n: int, data: int, block: int, total: float | None = None, alpha: float = 0.95, rho: float = 0.4, headroom: float | None = 0.0, capacity: str = "block", cost: str = "area") -> Spec:
     """Capacities of a layout: n sample points stand for ``data`` bytes in blocks of ``block`` bytes.
 
-    headroom lowers the largest size so that sampling noise seldom passes a block; None takes 1.5 / sqrt(points of a leaf), .15 at most.
+    headroom lowers the largest size so that sampling noise seldom passes a block; None takes the default.
     """
     count = max(1, ceil_div(n * block, max(data, 1)))
     if headroom is None:
-        headroom = min(0.15, 1.5 / np.sqrt(count))
+        headroom = default_headroom(n, data, block)
     if variant == "bytes":
         total = float(data if total is None else total)
         parts = ceil_div(data, block)
