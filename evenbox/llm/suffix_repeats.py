@@ -1,13 +1,14 @@
-"""Quality rules: repetition by suffix arrays over words.
+"""Quality rules: repetition by suffix arrays over characters.
 
-The suffixes of a text's word sequence are sorted by prefix doubling, many texts at once and only those
-suffixes that are still tied. The ranks kept at each doubling give the longest common prefix of neighbours
-in the suffix order; the larger of a suffix's two is the longest repeat that begins there, and every
-maximal repeated substring is among them. The union of the repeats of at least ``min_words`` words is the covered part of a text,
-counted in code points of words. A text is rejected if the covered fraction or the longest repeat is
-over its limit. Texts without a repeated 3-word window have no such repeat and need no suffix array.
+Every window of ``min_repeat`` code points is named by a rolling hash; only text inside a window that occurs again in its row can
+be part of a repeat, so suffixes are sorted there alone. They are sorted by prefix doubling, many texts at once and only
+those that are still tied; the ranks kept at each doubling give the longest common prefix of neighbours in the order. A run of
+neighbours whose common prefixes are no shorter than some length is an interval of the array, whose suffixes begin with one
+repeated substring; the deepest interval that a suffix stands in has the larger of the common prefixes with its two neighbours as its length, and
+that is the longest repeat that begins there. The union of the repeats' spans is the covered part of a text, in code points. A text is
+rejected if the covered fraction or the longest repeat is over its limit.
 
-Defined results: a null, empty or wordless text has zeros and fails the base rule; repeated rows are judged
+Defined results: a null, empty or wordless text has zero words and fails the base rule; repeated rows are judged
 each; an empty table gives no rows; extra columns are ignored.
 """
 
@@ -20,13 +21,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from evenbox.llm.bytewords import Words, slices, text_bytes
+from evenbox.llm.bytewords import Words, _pow, mix64, slices, text_bytes
 
 MIN_WORDS = 50
-MIN_REPEAT = 6
-#: largest fraction (per cent) of a text's word characters inside repeats
+#: code points of the shortest repeat that counts
+MIN_REPEAT = 40
+#: largest fraction (per cent) of a text's code points inside repeats
 MAX_COVERED = 45
-#: longest repeat, in per cent of the text's words
+#: longest repeat, in per cent of the text's code points
 MAX_REPEAT = 30
 _SYMBOLS = np.isin(np.arange(256), np.frombuffer(b"#*$%&|<>", np.uint8))
 
@@ -44,10 +46,10 @@ def _ranks(keys: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return order, np.flatnonzero(fresh)[np.cumsum(fresh) - 1] if len(order) else np.zeros(0, np.int64), tied
 
 
-def longest_repeats(symbols: np.ndarray, row: np.ndarray) -> np.ndarray:
+def longest_repeats(symbols: np.ndarray, row: np.ndarray, end: np.ndarray | None = None) -> np.ndarray:
     """For every position, the length of the longest substring from there that occurs again in its row.
 
-    symbols: any integers; row: non-decreasing row numbers.
+    symbols: any integers; row: non-decreasing row numbers; end: where the substrings from a position must stop, its row's end if not given.
     """
     n = len(symbols)
     if not n:
@@ -58,12 +60,14 @@ def longest_repeats(symbols: np.ndarray, row: np.ndarray) -> np.ndarray:
     suffixes = order.copy()
     active = np.zeros(n, bool)
     active[order] = tied
-    left = np.searchsorted(row, row, "right") - np.arange(n)  # words from here to the row's end
+    end = np.searchsorted(row, row, "right") if end is None else end
+    left = end - np.arange(n)
     levels, k = [rank], 1
     while active.any():
         at = np.flatnonzero(active)
-        more = np.where(left[at] > k, levels[-1][np.minimum(at + k, n - 1)], -1)
-        by, dense, tied = _ranks([levels[-1][at], more])
+        # what ends comes before what goes on, and different ends are never tied
+        more = np.where(left[at] > k, levels[-1][np.minimum(at + k, n - 1)] + n + 1, end[at])
+        by, dense, tied = _ranks([(levels[-1][at] << 32) | more])
         moved = at[by]
         rank = levels[-1].copy()
         # a tied group keeps its place in the order: its first rank and the place inside the group
@@ -91,10 +95,42 @@ def longest_repeats(symbols: np.ndarray, row: np.ndarray) -> np.ndarray:
     return best
 
 
-def _covered(repeats: np.ndarray, min_words: int) -> np.ndarray:
-    """Positions inside a repeat of at least min_words."""
+def repeated_text(points: np.ndarray, edges: np.ndarray, least: int) -> tuple[np.ndarray, np.ndarray]:
+    """(flags of the code points inside a repeat of at least ``least``, the longest repeat of each row) of rows of code points."""
+    n, rows = len(points), len(edges) - 1
+    flags, longest = np.zeros(n, bool), np.zeros(rows, np.int64)
+    row = np.repeat(np.arange(rows), np.diff(edges))
+    at = np.flatnonzero(edges[row + 1] - np.arange(n) >= least) if n >= least else np.zeros(0, np.int64)
+    if len(at) < 2:
+        return flags, longest
+    up, down = _pow(n + 1)
+    with np.errstate(over="ignore"):
+        sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum((points.astype(np.uint64) + np.uint64(1)) * up[:n], dtype=np.uint64)])
+        names = mix64((sums[at + least] - sums[at]) * down[at] + mix64(row[at].astype(np.uint64)))
+    order = np.argsort(names)
+    same = names[order][1:] == names[order][:-1]
+    twice = np.zeros(len(at), bool)
+    twice[order[1:][same]] = True
+    twice[order[:-1][same]] = True
+    at = at[twice]
+    if not len(at):
+        return flags, longest
+    steps = np.bincount(at, minlength=n + 1) - np.bincount(at + least, minlength=n + 1)
+    inside = np.flatnonzero(np.cumsum(steps[:n]) > 0)
+    # windows that follow on each other are one stretch; a repeat does not leave its stretch or its row
+    broken = np.concatenate([[True], (np.diff(inside) > 1) | (np.diff(row[inside]) > 0)])
+    begins = np.flatnonzero(broken)
+    ends = np.repeat(np.append(begins[1:], len(inside)), np.diff(np.append(begins, len(inside))))
+    found = longest_repeats(points[inside].astype(np.int64), row[inside], ends)
+    np.maximum.at(longest, row[inside], np.where(found >= least, found, 0))
+    flags[inside] = _covered(found, least)
+    return flags, longest
+
+
+def _covered(repeats: np.ndarray, least: int) -> np.ndarray:
+    """Positions inside a repeat of at least ``least``."""
     n = len(repeats)
-    at = np.flatnonzero(repeats >= min_words)
+    at = np.flatnonzero(repeats >= least)
     reach = np.zeros(n + 1, np.int64)
     reach[at] = at + repeats[at]
     return np.maximum.accumulate(reach)[:n] > np.arange(n)
@@ -151,20 +187,13 @@ def measure(raw: np.ndarray, offsets: np.ndarray, min_repeat: int = MIN_REPEAT)
         "n_dup_lines": np.bincount(line_row[copies], minlength=n),
         "n_repeat_words": _counts_by_row(inside[: len(words.start)], words.first),
     }
-    covered, longest = np.zeros(n, np.int64), np.zeros(n, np.int64)
-    rows = np.flatnonzero(out["n_repeat_words"])
-    if len(rows):
-        take = np.isin(words.row, rows)
-        row = words.row[take]
-        repeats = longest_repeats(words.word_hash()[take].view(np.int64), row)
-        repeats = np.where(repeats >= min_repeat, repeats, 0)
-        hit = _covered(repeats, min_repeat)
-        covered += np.bincount(row[hit], weights=size[take][hit], minlength=n).astype(np.int64)
-        np.maximum.at(longest, row, repeats)
-    return out | {"covered_chars": covered, "longest_repeat": longest}
+    places = points[offsets]
+    text = np.frombuffer(raw.tobytes().decode("utf-8", "surrogatepass").encode("utf-32-le", "surrogatepass"), "<u4")
+    flags, longest = repeated_text(text, places, min_repeat)
+    return out | {"text_chars": np.diff(places), "covered_chars": _counts_by_row(flags, places), "longest_repeat": longest}
 
 
-_MEASURES = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "covered_chars", "longest_repeat"]
+_MEASURES = ["n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "text_chars", "covered_chars", "longest_repeat"]
 
 
 def repetition_measures(docs: DataFrame, min_repeat: int = MIN_REPEAT, carry: tuple[str, ...] = ("doc_id",)) -> DataFrame:
@@ -186,7 +215,7 @@ def repetition_measures(docs: DataFrame, min_repeat: int = MIN_REPEAT, carry: tu
 def verdict(min_words: int = MIN_WORDS, max_covered: int = MAX_COVERED, max_repeat: int = MAX_REPEAT):
     """(base_failed, kept) as columns over the measures; whole-number comparisons only."""
     base = (F.col("n_words") < min_words) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
-    repeats = (100 * F.col("covered_chars") > max_covered * F.col("word_chars")) | (100 * F.col("longest_repeat") > max_repeat * F.col("n_words"))
+    repeats = (100 * F.col("covered_chars") > max_covered * F.col("text_chars")) | (100 * F.col("longest_repeat") > max_repeat * F.col("text_chars"))
     return base, ~base & ~repeats
 
 
