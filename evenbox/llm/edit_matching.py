@@ -6,8 +6,11 @@ k edits leave one piece whole, so every occurrence has an exact hit of a piece a
 finds the hits of all pieces in one pass over a text, hits of an item that stand close make one window, and
 Myers' bit-parallel distance finds the best occurrence in the window.
 
+An item too short for an edit (twelve characters and fewer) counts only where it stands between spaces or ends of the text, so that
+a short word is not found inside a longer one.
+
 The test items are cut into batches of bounded size; an automaton of a batch goes to every executor and
-each batch is a pass over the documents.
+each batch is a pass over the documents. With several batches the matches of each are written before the next is sent.
 
 Defined results: null and empty texts match nothing; items without a letter or digit are left out; items
 that are equal are matched each; repeated rows of documents match each; empty tables give no rows; extra
@@ -18,14 +21,19 @@ from __future__ import annotations
 
 import re
 from collections.abc import Iterator
+from functools import reduce
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from evenbox.llm.scratch import ROW, Scratch, numbered
+
 MAX_ERRORS = 0.08
+#: ids of documents up to this many go to every executor, more are joined by shuffle
+BROADCAST_IDS = 1_000_000
 #: characters of test items in one automaton
-BATCH_CHARS = 16 << 20
+BATCH_CHARS = 2 << 20
 _GAP = re.compile(r"[\W_]+")
 
 
@@ -80,9 +88,9 @@ class Pattern:
 
 
 class Matcher:
-    """All items of a batch: (item_id, normalised text)."""
+    """All items of a batch: (item_id, normalised text). bounded: items without an error budget match whole words only."""
 
-    def __init__(self, items: list[tuple[int, str]], max_errors: float):
+    def __init__(self, items: list[tuple[int, str]], max_errors: float, bounded: bool = True):
         import ahocorasick
 
         self.items = items
@@ -90,7 +98,7 @@ class Matcher:
         self.patterns: list[Pattern | None] = [None] * len(items)
         found: dict[str, list[tuple[int, int]]] = {}
         for i, (_, text) in enumerate(items):
-            for offset, piece in pieces(text, self.budgets[i]):
+            for offset, piece in [(-1, f" {text} ")] if bounded and not self.budgets[i] else pieces(text, self.budgets[i]):
                 found.setdefault(piece, []).append((i, offset))
         self.automaton = ahocorasick.Automaton()
         for piece, places in found.items():
@@ -103,9 +111,9 @@ class Matcher:
         begin is the end less the item's length, 0 at least.
         """
         windows: dict[int, list[list[int]]] = {}
-        for last, (size, places) in self.automaton.iter(text):
+        for last, (size, places) in self.automaton.iter(f" {text} "):
             for i, offset in places:
-                begin = last + 1 - size - offset
+                begin = last - size - offset  # in the text without the space before it
                 low, high = begin - self.budgets[i], begin + len(self.items[i][1]) + self.budgets[i]
                 own = windows.setdefault(i, [])
                 if own and own[-1][0] <= high and low <= own[-1][1]:
@@ -136,11 +144,20 @@ def _item_batches(items: DataFrame, batch_chars: int) -> Iterator[list[tuple[int
 
 def benchmark_matches(docs: DataFrame, items: DataFrame, max_errors: float = MAX_ERRORS, batch_chars: int = BATCH_CHARS) -> DataFrame:
     """doc_id, item_id, distance, begin, end (in the normalised text) of every test item in every document."""
-    out = None
-    for batch in _item_batches(items, batch_chars):
-        found = docs.select("doc_id", "text").mapInArrow(_matching(docs, batch, max_errors), "doc_id long, item_id long, distance int, begin int, end int")
-        out = found if out is None else out.unionByName(found)
-    return out
+    scratch, out = Scratch(docs.sparkSession, "matches"), []
+    batches = _item_batches(items, batch_chars)
+    held = next(batches)
+    for following in _ahead(batches):
+        found = docs.select("doc_id", "text").mapInArrow(_matching(docs, held, max_errors), "doc_id long, item_id long, distance int, begin int, end int")
+        out.append(scratch.write(found, f"batch-{len(out)}") if out or following is not None else found)
+        held = following
+    return reduce(DataFrame.unionByName, out)
+
+
+def _ahead(batches: Iterator[list]) -> Iterator[list | None]:
+    """The batches that follow the first, and None at the end."""
+    yield from batches
+    yield None
 
 
 def _matching(docs: DataFrame, batch: list[tuple[int, str]], max_errors: float):
@@ -158,6 +175,10 @@ def _matching(docs: DataFrame, batch: list[tuple[int, str]], max_errors: float):
 
 
 def drop_contaminated(docs: DataFrame, items: DataFrame, max_errors: float = MAX_ERRORS) -> DataFrame:
-    """The rows of ``docs`` in which no test item occurs."""
-    hit = benchmark_matches(docs, items, max_errors).select(F.col("doc_id").alias("_hit")).distinct()
-    return docs.join(hit, docs["doc_id"].eqNullSafe(hit["_hit"]), "left_anti").select(*docs.columns)
+    """The rows of ``docs`` in which no test item occurs; rows are judged each, whatever their doc_id."""
+    scratch = Scratch(docs.sparkSession, "clean")
+    rows = numbered(docs, scratch)
+    found = benchmark_matches(rows.select(F.col(ROW).alias("doc_id"), "text"), items, max_errors)
+    hit = scratch.write(found.select(F.col("doc_id").alias(ROW)).distinct(), "hit")
+    hit = F.broadcast(hit) if hit.count() <= BROADCAST_IDS else hit
+    return rows.join(hit, ROW, "left_anti").select(*docs.columns)
