@@ -61,13 +61,14 @@ def key_slot(key: Column, slots: int = SLOTS) -> Column:
 
 
 def place_rows(rows: DataFrame, key: str, shards: int | Sequence[str] = SHARDS, slots: int = SLOTS, weights: Sequence[int] | None = None) -> DataFrame:
-    """``rows`` with slot and shard (columns of these names are replaced)."""
+    """``rows`` with slot and shard (columns of these names, in any case, are replaced)."""
     names = [f"shard-{i}" for i in range(shards)] if isinstance(shards, int) else list(shards)
     table = fill_table(names, slots, weights)
     line = F.lit(",".join(map(str, table)))
-    lookup = rows.sparkSession.range(1).select(F.posexplode(F.split(line, ",").cast("array<int>")).alias("slot", "shard"))
-    kept = [F.col(c) for c in rows.columns if c not in ("slot", "shard")]
-    return rows.select(*kept, key_slot(F.col(key), slots).alias("slot")).join(F.broadcast(lookup), "slot").select(*kept, "slot", "shard")
+    lookup = rows.sparkSession.range(1).select(F.posexplode(F.split(line, ",").cast("array<int>")).alias("_evenbox_slot", "_evenbox_shard"))
+    kept = [rows[f"`{c}`"] for c in rows.columns if c.lower() not in ("slot", "shard")]
+    placed = rows.select(*kept, key_slot(rows[f"`{key}`"], slots).alias("_evenbox_slot")).join(F.broadcast(lookup), "_evenbox_slot")
+    return placed.withColumnsRenamed({"_evenbox_slot": "slot", "_evenbox_shard": "shard"}).select(*[f"`{c}`" for c in rows.columns if c.lower() not in ("slot", "shard")], "slot", "shard")
 
 
 def write_shards(rows: DataFrame, key: str, path: str, shards: int | Sequence[str] = SHARDS, files_each: int = 4, **options) -> None:
