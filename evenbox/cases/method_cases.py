@@ -362,6 +362,24 @@ def route_boxes_tree(spark, sf_dir):
     return router.route_boxes(shipments(spark, sf_dir), FIXED, ("x1", "y1"), ("x2", "y2")).groupBy("part_id").agg(F.count("*").alias("n"), F.sum("l_orderkey").alias("keys"))
 
 
+#: a box inside each region of the fixed tree
+_INNER = [(0, (1000.0, 0.0), (50000.0, 900.0)), (1, (1000.0, 901.0), (50000.0, 2600.0)), (2, (50000.5, 0.0), (75000.0, 1500.0)), (3, (75000.5, 0.0), (105000.0, 1400.0)), (4, (50001.0, 1501.0), (105000.0, 2600.0))]
+_INNER_SQL = "(VALUES " + ", ".join(f"({i}, {a[0]}::DOUBLE, {a[1]}::DOUBLE, {b[0]}::DOUBLE, {b[1]}::DOUBLE)" for i, a, b in _INNER) + ") b(part_id, bx1, by1, bx2, by2)"
+
+
+@case("route_auto", f"""WITH met AS (SELECT l_orderkey, l_linenumber, l_partkey, l_suppkey, x1, y1, x2, y2, b.part_id, bx1 <= x1 AND x2 <= bx2 AND by1 <= y1 AND y2 <= by2 AS holds,
+(greatest(bx2, x2) - least(bx1, x1)) * (greatest(by2, y2) - least(by1, y1)) - (bx2 - bx1) * (by2 - by1) AS grow, (bx2 - bx1) * (by2 - by1) AS own
+FROM ({SHIPMENTS_SQL}) JOIN {_REGIONS} ON x1 <= rx2 AND rx1 <= x2 AND y1 <= ry2 AND ry1 <= y2 JOIN {_INNER_SQL} ON b.part_id = r.part_id),
+best AS (SELECT *, count(*) FILTER (WHERE holds) OVER w AS held, row_number() OVER (PARTITION BY l_orderkey, l_linenumber, l_partkey, l_suppkey, x1, y1 ORDER BY NOT holds, part_id) AS first_holder,
+row_number() OVER (PARTITION BY l_orderkey, l_linenumber, l_partkey, l_suppkey, x1, y1 ORDER BY grow, own, part_id) AS least FROM met WINDOW w AS (PARTITION BY l_orderkey, l_linenumber, l_partkey, l_suppkey, x1, y1))
+SELECT part_id, count(*) AS n, CAST(sum(l_orderkey) AS BIGINT) AS keys FROM best WHERE CASE WHEN held = 1 THEN first_holder = 1 ELSE least = 1 END GROUP BY part_id""")
+def route_auto(spark, sf_dir):
+    """The one box that contains a record, else the least enlargement among the leaves it meets."""
+    boxes = spark.createDataFrame([(i, list(a), list(b)) for i, a, b in _INNER], "part_id int, blo array<double>, bhi array<double>")
+    routed = router.route_auto(shipments(spark, sf_dir), FIXED, boxes, ("x1", "y1"), ("x2", "y2"))
+    return routed.groupBy("part_id").agg(F.count("*").alias("n"), F.sum("l_orderkey").alias("keys"))
+
+
 @case("route_anchor_boxes", f"SELECT part_id, count(*) AS n, CAST(sum(l_orderkey) AS BIGINT) AS keys FROM (SELECT l_orderkey, {_FIXED_CASE} AS part_id FROM (SELECT l_orderkey, (x1 + x2) / 2 AS x, (y1 + y2) / 2 AS y, kh FROM ({SHIPMENTS_SQL}))) GROUP BY part_id")
 def route_anchor_boxes(spark, sf_dir):
     return router.route_anchor(shipments(spark, sf_dir), FIXED, ("x1", "y1"), ("x2", "y2")).groupBy("part_id").agg(F.count("*").alias("n"), F.sum("l_orderkey").alias("keys"))

@@ -2,6 +2,10 @@
 
 from __future__ import annotations
 
+import time
+from contextlib import contextmanager
+
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -264,114 +268,244 @@ def tile_pyramid(spark, sf_dir):
 # --- workloads --------------------------------------------------------------------------------------
 
 METHODS = ("mbs_plain", "mbs_count", "mbs_bytes", "str", "kd", "z", "hilbert", "quad", "grid")
-RESULT = ["workload", "method", "param", "parts", "blocks", "volume", "margin", "overlap", "utilisation", "deviation", "seconds", "blocks_per_query"]
+#: the balanced variant and the four baselines of the study
+STUDY = ("str", "kd", "z", "hilbert")
+RESULT = ["workload", "method", "param", "headroom", "parts", "blocks", "volume", "margin", "overlap", "utilisation", "deviation", "seconds", "total_seconds", "blocks_per_query"]
 
 
-def measured(df: Frame, method: str, block: int, workload: str, param: str = "", axes=("x", "y"), queries: Frame | None = None, **options) -> Frame:
-    """One row: all measures of a layout after routing every record, axes scaled to their extent; deviation in blocks."""
+def _unit(df: Frame, axes=("x", "y")) -> Frame:
+    """Axes scaled to their extent."""
     ends = phase1.summarize(df, axes).first()
-    scaled = df.withColumns({a: (F.col(a) - ends[f"min_{a}"]) / ((ends[f"max_{a}"] - ends[f"min_{a}"]) or 1.0) for a in axes})
-    learned = learn(scaled, method, block, axes, **options)
+    return df.withColumns({a: (F.col(a) - ends[f"min_{a}"]) / ((ends[f"max_{a}"] - ends[f"min_{a}"]) or 1.0) for a in axes})
+
+
+def measured(df: Frame, method: str, block: int, workload: str, param: str = "", axes=("x", "y"), queries: Frame | None = None, headroom: float | None = 0.0, **options) -> Frame:
+    """One row: all measures of a layout after routing every record, axes scaled to their extent; deviation in blocks.
+
+    seconds: of the boundaries; total_seconds: of all phases, with one scan that routes every record. Every method has the same headroom.
+    """
+    scaled = _unit(df, axes)
+    learned = learn(scaled, method, block, axes, headroom=headroom, **options)
+    began = time.perf_counter()
     man = quality.manifest(router.route(scaled, learned.layout, axes, "arrow"), axes, block)
     man = df.sparkSession.createDataFrame(man.toArrow())  # a row for each partition, used by every measure
+    total = sum(learned.phases.values()) + time.perf_counter() - began
     asked = queries if queries is not None else index.grid_queries(df.sparkSession, [0.0] * len(axes), [1.0] * len(axes), 100, 0.01, axes)
     cost = quality.range_cost(man, asked, axes).agg(F.avg("blocks").alias("blocks_per_query"))
     row = quality.all_measures(man, block, axes).crossJoin(cost)
-    named = row.select(F.lit(workload).alias("workload"), F.lit(method).alias("method"), F.lit(param).alias("param"), "*", F.lit(learned.seconds).alias("seconds"))
+    labels = {"workload": workload, "method": method, "param": param, "headroom": "default" if headroom is None else f"{headroom:g}", "seconds": learned.seconds, "total_seconds": total}
+    named = row.select("*", *[F.lit(v).alias(k) for k, v in labels.items()])
     return named.withColumn("deviation", F.col("deviation") / block).select(*RESULT)
 
 
 def _all(rows: list[Frame]) -> Frame:
-    out = rows[0]
-    for row in rows[1:]:
-        out = out.unionByName(row)
-    return out
+    """The rows of all, made now, so that the tables they came from can be let go of."""
+    tables = [row.toArrow() for row in rows]  # a row for each layout
+    return rows[0].sparkSession.createDataFrame(pa.concat_tables(tables), rows[0].schema)
+
+
+@contextmanager
+def _kept(df: Frame):
+    df = df.cache()
+    try:
+        yield df
+    finally:
+        df.unpersist()
 
 
 @case("ablation_variable_size")
 def ablation_variable_size(spark, sf_dir):
-    """The three variants and the baselines on records of uneven size."""
-    rows = []
+    """The three variants and the baselines on records of uneven size, without headroom and with the same for all."""
+    out = []
     for table, block in (("documents", 1 << 17), ("pages", 1 << 16)):
-        df = T.points(spark, sf_dir, table).cache()
-        rows += [measured(df, m, block, f"ablation_{table}") for m in ("mbs_plain", "mbs_count", "mbs_bytes", "str", "kd")]
-    return _all(rows)
+        with _kept(T.points(spark, sf_dir, table)) as df:
+            out.append(_all([measured(df, m, block, f"ablation_{table}", headroom=h) for h in (0.0, None) for m in ("mbs_plain", "mbs_count", "mbs_bytes", *STUDY)]))
+    return _all(out)
 
 
 @case("overview_normalised")
 def overview_normalised(spark, sf_dir):
-    df = T.points(spark, sf_dir, "lineitem").cache()
-    rows = _all([measured(df, m, 1 << 16, "overview", ratio=0.1) for m in ("mbs_count", "str", "kd", "z", "hilbert")])
+    """Every measure over its largest among the methods, without headroom and with the same for all."""
+    with _kept(T.points(spark, sf_dir, "lineitem")) as df:
+        rows = _all([measured(df, m, 1 << 16, f"overview, headroom {h}", ratio=0.1, headroom=h) for h in (0.0, None) for m in ("mbs_count", *STUDY)])
     return quality.overview(rows, ["volume", "margin", "overlap", "deviation", "utilisation"])
 
 
+def _sizes(spark, sf_dir, table: str, balanced: str, block: int, ratio: float, shares=(0.25, 0.5, 1.0)) -> Frame:
+    with _kept(T.points(spark, sf_dir, table)) as df:
+        return _all([measured(phase1.sample_by_hash(df, share, 5), m, block, f"size_{table}", str(share), ratio=ratio) for share in shares for m in (balanced, *STUDY)])
+
+
 @case("size_sweep_points")
 def size_sweep_points(spark, sf_dir):
-    df = T.points(spark, sf_dir, "lineitem").cache()
-    return _all([measured(phase1.sample_by_hash(df, share, 5), m, 1 << 16, "size_points", str(share), ratio=0.2) for share in (0.25, 0.5, 1.0) for m in ("mbs_count", "str", "z")])
+    return _sizes(spark, sf_dir, "lineitem", "mbs_count", 1 << 16, 0.2)
 
 
 @case("size_sweep_objects")
 def size_sweep_objects(spark, sf_dir):
-    df = T.points(spark, sf_dir, "documents").cache()
-    return _all([measured(phase1.sample_by_hash(df, share, 5), m, 1 << 17, "size_objects", str(share)) for share in (0.5, 1.0) for m in ("mbs_bytes", "str", "kd", "hilbert")])
+    return _all([_sizes(spark, sf_dir, "documents", "mbs_bytes", 1 << 17, 1.0), _sizes(spark, sf_dir, "pages", "mbs_bytes", 1 << 16, 1.0)])
+
+
+@case("partition_time")
+def partition_time(spark, sf_dir):
+    """Seconds of every phase and of all, by method: reading the extent, the sample (and histogram), the boundaries, writing the routed records."""
+    rows = []
+    for table, balanced, block in (("lineitem", "mbs_count", 1 << 16), ("documents", "mbs_bytes", 1 << 17)):
+        df = T.points(spark, sf_dir, table)
+        for method in (balanced, *STUDY):
+            learned = learn(df, method, block, ratio=0.2, headroom=0.0)
+            began = time.perf_counter()
+            index.write_index(df, learned.layout, work_path(spark, "timed"), block=block)
+            phases = learned.phases | {"write": time.perf_counter() - began}
+            rows += [(table, method, name, s) for name, s in [*phases.items(), ("total", sum(phases.values()))]]
+    return spark.createDataFrame(rows, "data string, method string, phase string, seconds double")
 
 
 @case("sampling_sweep")
 def sampling_sweep(spark, sf_dir):
     """Mean and spread over three samples of each ratio."""
-    df = T.points(spark, sf_dir, "documents_hash").cache()
-    rows = _all([measured(df, "mbs_bytes", 1 << 17, "sampling", str(r), ratio=r, seed=s) for r in (0.05, 0.2, 1.0) for s in (1, 2, 3)])
-    return quality.repeat_stats(rows, ["workload", "param"], ["margin", "overlap", "utilisation", "deviation", "seconds"])
+    with _kept(T.points(spark, sf_dir, "documents_hash")) as df:
+        rows = _all([measured(df, "mbs_bytes", 1 << 17, "sampling", str(r), ratio=r, seed=s) for r in (0.003, 0.01, 0.03, 0.1, 0.3, 1.0) for s in (1, 2, 3)])
+    return quality.repeat_stats(rows, ["workload", "param"], ["volume", "margin", "overlap", "utilisation", "deviation", "seconds"])
 
 
 @case("rho_sweep")
 def rho_sweep(spark, sf_dir):
-    df = T.points(spark, sf_dir, "documents_hash").cache()
-    return _all([measured(df, "mbs_bytes", 1 << 17, "rho", str(rho), rho=rho) for rho in (0.0, 0.1, 0.2, 0.3, 0.4, 0.45)])
+    with _kept(T.points(spark, sf_dir, "documents_hash")) as df:
+        return _all([measured(df, "mbs_bytes", 1 << 17, "rho", str(rho), rho=rho) for rho in (0.0, 0.1, 0.2, 0.3, 0.4, 0.45)])
 
 
 @case("range_blocks_docs")
 def range_blocks_docs(spark, sf_dir):
     """Average blocks of a query on records of uneven size, at three query sizes."""
-    df = T.points(spark, sf_dir, "documents_hash").cache()
-    rows = []
-    for share in (0.0001, 0.01, 0.1):
-        asked = index.grid_queries(spark, [0.0, 0.0], [1.0, 1.0], 200, share)
-        rows += [measured(df, m, 1 << 17, "range_docs", str(share), queries=asked) for m in ("mbs_bytes", "str", "kd", "z")]
-    return _all(rows)
+    with _kept(T.points(spark, sf_dir, "documents_hash")) as df:
+        rows = []
+        for share in (0.0001, 0.01, 0.1):
+            asked = index.grid_queries(spark, [0.0, 0.0], [1.0, 1.0], 200, share)
+            rows += [measured(df, m, 1 << 17, "range_docs", str(share), queries=asked) for m in ("mbs_bytes", *STUDY)]
+        return _all(rows)
+
+
+#: the points' extent, and queries of a ten-thousandth of its area
+_LOW, _HIGH, _SMALL = (900.0, 0.0), (105000.0, 2600.0), 0.0001
+BATCHES = (200, 400, 600, 800, 1000, 1200)
+
+
+@case("range_batches")
+def range_batches(spark, sf_dir):
+    """Batches of small boxes on points: blocks to read, records found and seconds, on one index for each method. The index is built before the clock starts."""
+    df, rows = T.points(spark, sf_dir, "lineitem"), []
+    for method in ("mbs_count", *STUDY):
+        idx = index.write_index(df, learn(df, method, 1 << 16, ratio=0.2, headroom=0.0).layout, work_path(spark, "batches"), block=1 << 16)
+        for n in BATCHES:
+            asked = index.grid_queries(spark, _LOW, _HIGH, n, _SMALL)
+            blocks = quality.range_cost(idx.manifest(), asked).agg(F.sum("blocks")).first()[0]
+            began = time.perf_counter()
+            hits = idx.range_batch(asked).count()
+            rows.append((method, n, blocks, hits, time.perf_counter() - began))
+    return spark.createDataFrame(rows, "method string, queries int, blocks long, hits long, seconds double")
+
+
+def _boxes_sql(n: int) -> str:
+    """``index.grid_queries`` over the points' extent."""
+    side, each = _SMALL**0.5, max(1, int(round(n**0.5)))
+    (x0, y0), (x1, y1) = _LOW, _HIGH
+    start_x = f"{x0!r} + {(x1 - x0) * (1 - side)!r} * (q % {each} + 0.5) / {max(each, -(-n // each))}"
+    start_y = f"{y0!r} + {(y1 - y0) * (1 - side)!r} * (q // {each} + 0.5) / {max(each, -(-n // each))}"
+    return f"SELECT CAST(q AS BIGINT) AS qid, {start_x} AS qx, {start_y} AS qy FROM range(0, {n}) t(q)"
+
+
+@case("range_batch_small", f"SELECT qid, count(*) AS n FROM ({_boxes_sql(1200)}), ({_PTS}) WHERE x BETWEEN qx AND qx + {(_HIGH[0] - _LOW[0]) * _SMALL**0.5!r} AND y BETWEEN qy AND qy + {(_HIGH[1] - _LOW[1]) * _SMALL**0.5!r} GROUP BY qid")
+def range_batch_small(spark, sf_dir):
+    """The largest of those batches: records in each box."""
+    return _index(spark, sf_dir).range_batch(index.grid_queries(spark, _LOW, _HIGH, 1200, _SMALL)).groupBy("qid").agg(F.count("*").alias("n"))
+
+
+def _dimensions(spark, name: str, tables: list[tuple[int, Frame]], block: int, ratio: float) -> Frame:
+    out = []
+    for d, table in tables:
+        with _kept(table) as df:
+            out.append(_all([measured(df, m, block, name, str(d), _axes(d), ratio=ratio) for m in ("mbs_count", *STUDY)]))
+    return _all(out)
 
 
 @case("multidim_diagonal")
 def multidim_diagonal(spark, sf_dir):
-    return _all([measured(T.diagonal(spark, sf_dir, d).cache(), m, 1 << 18, "diagonal", str(d), _axes(d), ratio=0.1) for d in (3, 5, 9) for m in ("mbs_count", "str", "kd", "z", "hilbert")])
+    return _dimensions(spark, "diagonal", [(d, T.diagonal(spark, sf_dir, d)) for d in (3, 4, 5, 9)], 1 << 18, 0.1)
 
 
 @case("multidim_trips")
 def multidim_trips(spark, sf_dir):
-    return _all([measured(T.trips(spark, sf_dir, d).cache(), m, 1 << 18, "trips", str(d), _axes(d), ratio=0.1) for d in (4, 7) for m in ("mbs_count", "str", "kd", "z", "hilbert")])
+    return _dimensions(spark, "trips", [(d, T.trips(spark, sf_dir, d)) for d in (4, 5, 7)], 1 << 18, 0.1)
 
 
 @case("multidim_vectors")
 def multidim_vectors(spark, sf_dir):
-    return _all([measured(T.vectors(spark, sf_dir, 4).cache(), m, 1 << 12, "vectors", "4", _axes(4)) for m in ("mbs_count", "str", "kd")])
+    return _dimensions(spark, "vectors", [(d, T.vectors(spark, sf_dir, d)) for d in (4, 5, 7, 9)], 1 << 12, 1.0)
+
+
+def _boxed(df: Frame, *keys: str) -> Frame:
+    """Boxes with the columns that layouts are learned from: their centres."""
+    return df.selectExpr("*", f"{T.key_hash(*keys)} AS kh", "(x1 + x2) / 2 AS x", "(y1 + y2) / 2 AS y")
 
 
 @case("join_cost_methods")
 def join_cost_methods(spark, sf_dir):
-    """Blocks a spatial join reads, by method."""
+    """Blocks a spatial join reads, by method: two pairs of data, each joined small and large against small and large."""
+    orders = T.load(spark, sf_dir, "orders").selectExpr("o_orderkey", "o_totalprice AS x1", f"{T.days('o_orderdate', 'spark')} AS y1", "o_totalprice * 1.05 AS x2", f"{T.days('o_orderdate', 'spark')} + 30 AS y2", "CAST(100 AS BIGINT) AS bytes")
+    ships = shipments(spark, sf_dir).drop("kh")
+    hours = T.hour_boxes(spark, sf_dir).selectExpr("*", "CAST(100 AS BIGINT) AS bytes")
+    lines = T.segments(spark, sf_dir).selectExpr("*", "CAST(100 AS BIGINT) AS bytes")
+    pairs = (("hour boxes x segments", _boxed(hours, "hour"), _boxed(lines, "event_id"), 1 << 14), ("order boxes x shipments", _boxed(orders, "o_orderkey"), _boxed(ships, *T.LINE_KEYS), 1 << 17))
     rows = []
-    for method in ("mbs_count", "mbs_plain", "str", "kd", "z"):
-        left, right = _sides(spark, sf_dir, method, 1 << 14)
-        cost = quality.join_cost(*[quality.with_blocks(quality.box_manifest(s, sj.LO, sj.HI), 1 << 14) for s in (left, right)])
-        rows.append(cost.select(F.lit(method).alias("method"), "*"))
+    for name, left, right, block in pairs:
+        for method in ("mbs_count", "mbs_plain", *STUDY):
+            sides = [{}, {}]
+            for side, df in zip(sides, (left, right), strict=True):
+                for share in (0.5, 1.0):
+                    part = df if share == 1.0 else phase1.sample_by_hash(df, share, 5)
+                    routed = router.route(part, learn(part, method, block, headroom=0.0).layout)
+                    man = quality.with_blocks(quality.box_manifest(routed, sj.LO, sj.HI), block)
+                    side[share] = spark.createDataFrame(man.toArrow())  # a row for each partition
+            for a in (0.5, 1.0):
+                for b in (0.5, 1.0):
+                    cost = quality.join_cost(sides[0][a], sides[1][b])
+                    rows.append(cost.select(F.lit(name).alias("data"), F.lit(method).alias("method"), F.lit(a).alias("left_share"), F.lit(b).alias("right_share"), "*"))
     return _all(rows)
 
 
 @case("scale_up")
 def scale_up(spark, sf_dir):
-    """Routing and counting with one, four and eight partitions of the shuffle: the same rows each time."""
-    df = T.points(spark, sf_dir, "lineitem")
-    layout = learn(df, "mbs_count", 1 << 17, ratio=0.1).layout
-    return _all([router.route(df, layout).repartition(n, "part_id").groupBy("part_id").count().agg(F.count("*").alias("parts"), F.sum("count").alias("n")).select(F.lit(n).alias("width"), "*") for n in (1, 4, 8)])
-
+    """Partitioning shares of the table at three widths of the shuffle: records, partitions and seconds of learning and writing."""
+    rows = []
+    for share in (0.25, 0.5, 1.0):
+        df = phase1.sample_by_hash(T.points(spark, sf_dir, "lineitem"), share, 5)
+        learned = learn(df, "mbs_count", 1 << 17, ratio=0.1)
+        for width in (1, 4, 8):
+            began = time.perf_counter()
+            done = router.route(df, learned.layout).repartition(width, "part_id").groupBy("part_id").count().agg(F.count("*"), F.sum("count")).first()
+            rows.append((share, width, done[0], done[1], sum(learned.phases.values()), time.perf_counter() - began))
+    return spark.createDataFrame(rows, "share double, width int, parts long, n long, learn_seconds double, route_seconds double")
+
+
+#: the places that need no learning, against which layouts are held
+CONTROLS = ("hash", "round_robin", "range", "grid")
+
+
+@case("control_layouts")
+def control_layouts(spark, sf_dir):
+    """Measures of records dealt by key hash, in turn, by ranges of one axis and by a grid, beside the balanced layout."""
+    block, rows = 1 << 16, []
+    with _kept(_unit(T.points(spark, sf_dir, "lineitem"))) as df:
+        data = df.agg(F.sum("bytes")).first()[0]
+        n = max(1, -(-data // block))
+        dealt = {
+            "hash": df.withColumn("part_id", F.floor(F.col("kh") * n).cast("int") if dict(df.dtypes)["kh"] == "double" else F.pmod("kh", F.lit(n)).cast("int")),
+            "round_robin": df.repartition(n).withColumn("part_id", F.spark_partition_id()),
+            "range": df.repartitionByRange(n, "x").withColumn("part_id", F.spark_partition_id()),
+        }
+        for method in (*CONTROLS, "mbs_count"):
+            routed = dealt[method] if method in dealt else router.route(df, learn(df, method, block, ratio=0.2, headroom=0.0).layout)
+            man = spark.createDataFrame(quality.manifest(routed, block=block).toArrow())  # a row for each partition
+            rows.append(quality.all_measures(man, block).select(F.lit(method).alias("method"), "*"))
+        return _all(rows)
