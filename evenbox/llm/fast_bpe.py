@@ -37,7 +37,7 @@ class CorpusEncoder:
     many, the later half is forgotten (frequent pieces are met early), so memory stays bounded.
     """
 
-    def __init__(self, name: str, remember: int = 200_000):
+    def __init__(self, name: str, remember: int = 400_000):
         import public_tokenizers
         from tokenizers import Tokenizer
 
@@ -99,38 +99,30 @@ class CorpusEncoder:
             if len(known) > most:
                 for piece in list(known)[most // 2 :]:
                     del known[piece]
-        rows, missing = [], set()
-        recall = self._known.get
+        rows, pieces = [], set()
         for text in texts:
             if not text or self._added.search(text):
                 rows.append(None)
                 continue
-            parts = text.replace("\n", " ").split(" ") if self.words else f"\n{text}".split(" ")
-            got = list(map(recall, parts))
-            if None in got:
-                missing.update(p for p, ids in zip(parts, got, strict=True) if ids is None)
-            rows.append((parts, got))
-        if not self.words:
-            heads = {row[0][0] for row in rows if row}
-            missing -= heads
-            unsafe = {p for p in missing if not p or p[0].isspace() or p[-1].isspace()}
-            missing -= unsafe
+            parts = (text.replace("\n", " ") if self.words else text).split(" ")
+            head = "" if self.words else parts.pop(0)
+            pieces.update(parts)
+            rows.append((head, parts))
+        missing = pieces.difference(self._known)
+        if not self.words:  # a space beside other white space is no safe place
+            missing = {p for p in missing if p and not p[0].isspace() and not p[-1].isspace()}
         if missing:
             self._learn(missing)
-        return [self._join(text, row) if row else self.whole(text or "") for text, row in zip(texts, rows, strict=True)]
-
-    def _join(self, text: str, row: tuple[list[str], list[bytes | None]]) -> bytes:
-        parts, got = row
-        if not self.words:
-            head = parts[0][1:]
-            if len(parts) > 1 and head and head[-1].isspace():
-                return self.whole(text)
-            got[0] = self.whole(head) if head else b""
-        if None in got:
-            got = [self._known.get(p) if ids is None else ids for p, ids in zip(parts, got, strict=True)]
-            if None in got:
-                return self.whole(text)
-        return b"".join(got)
+        return [self._join(text, *row) if row else self.whole(text or "") for text, row in zip(texts, rows, strict=True)]
+
+    def _join(self, text: str, head: str, parts: list[str]) -> bytes:
+        if head and parts and head[-1].isspace():
+            return self.whole(text)
+        try:
+            ids = b"".join(map(self._known.__getitem__, parts))
+        except KeyError:
+            return self.whole(text)
+        return self.whole(head) + ids if head else ids
 
 
 _encoders: dict[str, CorpusEncoder] = {}
