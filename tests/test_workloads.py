@@ -69,16 +69,19 @@ def test_phases_and_equal_headroom(spark, small):
 
 
 def test_a_join_reads_fewer_blocks_than_slabs(spark, small):
-    sides, pairs = {}, {}
-    for method in ("mbs_count", "str"):
-        out = []
-        for df, key in ((T.segments(spark, small), "event_id"), (T.hour_boxes(spark, small), "hour")):
-            df = df.selectExpr("*", "CAST(100 AS BIGINT) AS bytes", f"{T.key_hash(key)} AS kh", "(x1 + x2) / 2 AS x", "(y1 + y2) / 2 AS y")
-            routed = router.route(df, learn(df, method, 1 << 12, headroom=0.0).layout)
-            out.append(quality.with_blocks(quality.box_manifest(routed, sj.LO, sj.HI), 1 << 12))
-        sides[method] = out
-        pairs[method] = quality.join_cost(*out).first()["block_pairs"]
-    assert pairs["mbs_count"] < pairs["str"]
+    """Fewer pairs of partitions than slabs without headroom, and fewer pairs of blocks with the same headroom for both."""
+    cost = {}
+    for headroom in (0.0, None):
+        for method in ("mbs_count", "str"):
+            out = []
+            for df, key in ((T.segments(spark, small), "event_id"), (T.hour_boxes(spark, small), "hour")):
+                df = df.selectExpr("*", "CAST(100 AS BIGINT) AS bytes", f"{T.key_hash(key)} AS kh", "(x1 + x2) / 2 AS x", "(y1 + y2) / 2 AS y")
+                routed = router.route(df, learn(df, method, 1 << 12, headroom=headroom).layout)
+                out.append(quality.with_blocks(quality.box_manifest(routed, sj.LO, sj.HI), 1 << 12))
+            cost[headroom, method] = quality.join_cost(*out).first()
+    assert cost[0.0, "mbs_count"]["pairs"] < cost[0.0, "str"]["pairs"]
+    assert cost[None, "mbs_count"]["block_pairs"] < cost[None, "str"]["block_pairs"]
+    assert cost[None, "mbs_count"]["block_reads"] < cost[None, "str"]["block_reads"]
 
 
 def test_one_partition_for_each_record(spark):
