@@ -4,8 +4,9 @@ The filter holds word and word-pair counts of the training documents. A count c
 1 + floor(2 log2 c): the pair of a gram and j is a member for every j up to the level, so a count is read back by
 probing j = 1, 2, ... until a probe fails. Grams are dealt to slices of ``SLICE_BITS`` bits by their leading bits; a
 task that owns a slice gets all grams of it and sets their bits, and the slices together are the filter.
-``BITS_EACH`` bits for each member fix its size, in powers of two. It is broadcast in segments of at most ``SEGMENT_SLICES``
-slices (64 MB); a filter of more segments takes a pass over the documents for each.
+``BITS_EACH`` bits for each member fix its size; members are counted exactly over the grams of one part in ``SHARE`` of the
+hash space. It is broadcast in segments of at most ``SEGMENT_SLICES`` slices (128 MB), each let go of after its pass; a filter of
+more segments takes a pass over the documents for each.
 
 The score of a text is the sum over its words and its end of log10 P(word | word before), with
 P = (c(pair) + mu P1(word)) / (c(word before) + mu) and P1 = (c(word) + 0.1) / (N + 0.1 (V + 1)), all counts read from the filter.
@@ -31,7 +32,9 @@ from evenbox.llm.bytewords import Words, combine, mix64, slices, text_bytes
 from evenbox.llm.scratch import Scratch
 
 SLICE_BITS = 1 << 17
-SEGMENT_SLICES = 1 << 12
+SEGMENT_SLICES = 1 << 13
+#: the filter's members are counted over grams whose hash is 0 modulo this
+SHARE = 256
 BITS_EACH = 6
 #: where in a member's hash the places of its bits begin
 PROBES = (0, 15, 31, 47)
@@ -105,12 +108,24 @@ def _counted(batches: Iterator[pa.RecordBatch], grams) -> Iterator[pa.RecordBatc
 
 
 def word_gram(token: np.ndarray) -> np.ndarray:
-    return combine([token])
+    """The name of a word; odd, so that counting may mark it."""
+    return combine([token]) | np.uint64(1)
 
 
 def count_words(docs: DataFrame) -> DataFrame:
-    """(gram, n) of the words and ends of ``docs``."""
-    return docs.select("text").mapInArrow(lambda batches: _counted(batches, lambda token, before: word_gram(token)), "gram long, n long").groupBy("gram").agg(F.sum("n").alias("n"))
+    """(gram, n, whole) of the words and ends of ``docs`` and, whole being false, of the pairs in one part in ``SHARE`` of the hash space."""
+
+    def grams(token: np.ndarray, before: np.ndarray) -> np.ndarray:
+        # words have an odd name and pairs an even one here, so that both are counted at once
+        pair = combine([before, token])
+        return np.concatenate([word_gram(token), pair[_shared(pair)] & ~np.uint64(1)])
+
+    counted = docs.select("text").mapInArrow(lambda batches: _counted(batches, grams), "gram long, n long").groupBy("gram").agg(F.sum("n").alias("n"))
+    return counted.withColumn("whole", F.col("gram").bitwiseAND(F.lit(1)) == 1)
+
+
+def _shared(gram: np.ndarray) -> np.ndarray:
+    return (gram >> np.uint64(1)) % np.uint64(SHARE) == 0
 
 
 def _places(gram: np.ndarray, level: np.ndarray) -> list[np.ndarray]:
@@ -120,15 +135,24 @@ def _places(gram: np.ndarray, level: np.ndarray) -> list[np.ndarray]:
     return [((name >> np.uint64(k)) & np.uint64(SLICE_BITS - 1)).astype(np.int64) for k in PROBES]
 
 
-def build_filter(docs: DataFrame, words: DataFrame, scratch: Scratch) -> tuple[DataFrame, int]:
+def _part(gram: np.ndarray, n: int) -> np.ndarray:
+    """The slice, of n, of a gram."""
+    return (((gram >> np.uint64(32)) * np.uint64(n)) >> np.uint64(32)).astype(np.int64)
+
+
+def count_members(counted: DataFrame) -> int:
+    """Members of the filter over words and pairs: a word's levels, and those of the counted pairs times ``SHARE``."""
+    # 2 log2 n by whole numbers is worked out when bits are set; here the float is close enough for a size
+    level = F.sum(F.floor(2 * F.log2(F.col("n").cast("double")) + 1e-9) + 1)
+    found = {r["whole"]: r["members"] for r in counted.groupBy("whole").agg(level.alias("members")).collect()}
+    return int(found.get(True, 0) + SHARE * found.get(False, 0))
+
+
+def build_filter(docs: DataFrame, words: DataFrame, members: int, scratch: Scratch) -> tuple[DataFrame, int]:
     """The slices (slice, bits) of the filter over pairs of ``docs`` and ``words``, and how many there are."""
     pairs = docs.select("text").mapInArrow(lambda batches: _counted(batches, lambda token, before: combine([before, token])), "gram long, n long")
-    #: pairs are fewer than tokens, and a member more for each doubling of a count twice over
-    members = 1.3 * (words.agg(F.sum("n")).first()[0] or 1)
-    bits = 1 << max(17, math.ceil(math.log2(BITS_EACH * members)))
-    n = bits // SLICE_BITS
-    shift = 64 - n.bit_length() + 1
-    own = F.shiftrightunsigned("gram", shift) if n > 1 else F.lit(0).cast("long")
+    n = max(1, -(-BITS_EACH * members // SLICE_BITS))
+    own = F.shiftrightunsigned(F.shiftrightunsigned("gram", 32) * F.lit(n).cast("long"), 32)
     rows = pairs.unionByName(words).withColumn("slice", own).repartition("slice").groupBy("slice", "gram").agg(F.sum("n").alias("n"))
 
     def build(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -159,12 +183,11 @@ class Segment:
     """Consecutive slices of a filter of n slices, for probing."""
 
     def __init__(self, first: int, slices_here: int, n: int, bits: np.ndarray):
-        self.first, self.count, self.shift, self.bits = first, slices_here, np.uint64(64 - n.bit_length() + 1), bits
-        self.n = n
+        self.first, self.count, self.n, self.bits = first, slices_here, n, bits
 
     def levels(self, gram: np.ndarray, out: np.ndarray) -> None:
         """Write the levels of the grams that belong here to ``out``."""
-        part = (gram >> self.shift).astype(np.int64) if self.n > 1 else np.zeros(len(gram), np.int64)
+        part = _part(gram, self.n)
         at = np.flatnonzero((part >= self.first) & (part < self.first + self.count))
         base, live = (part[at] - self.first) * SLICE_BITS, gram[at]
         for j in range(1, _MAX_LEVEL):
@@ -214,10 +237,11 @@ def score_documents(docs: DataFrame, mu: float = MU, top: int = TOP, folds: int
     sc = spark.sparkContext
     docs = docs.select("doc_id", "text")
     train = docs.where(~held_out(F.col("doc_id"), folds))
-    words = scratch.write(count_words(train), "words")
+    counted = scratch.write(count_words(train), "words")
+    words = counted.where("whole").drop("whole")
     totals = words.agg(F.count("*"), F.coalesce(F.sum("n"), F.lit(0))).first()
     distinct, tokens = totals[0], totals[1]
-    stored, n = build_filter(train, words, scratch)
+    stored, n = build_filter(train, words, count_members(counted), scratch)
     gram, count, least = top_words(words, top)
     frequent = sc.broadcast((gram, count))  # TOP words at most
     floor = tokens + ADD * (distinct + 1)
@@ -225,12 +249,15 @@ def score_documents(docs: DataFrame, mu: float = MU, top: int = TOP, folds: int
     state = docs.select(F.monotonically_increasing_id().alias("row"), "doc_id", "text", F.lit(None).cast("binary").alias("levels"))
     firsts = range(0, n, SEGMENT_SLICES)
     for turn, first in enumerate(firsts[:-1]):
-        state = scratch.write(state.mapInArrow(_probing(sc.broadcast(load_segment(stored, first, n))), state.schema), f"probed-{turn}")
+        segment = sc.broadcast(load_segment(stored, first, n))
+        state = scratch.write(state.mapInArrow(_probing(segment), state.schema), f"probed-{turn}")
+        segment.destroy()
         if turn:
             scratch.drop(f"probed-{turn - 1}")
     last = sc.broadcast(load_segment(stored, firsts[-1], n))
     scored = scratch.write(state.mapInArrow(_scoring(last, frequent, mu, floor, train.count()), _SCORED), "scored")
-
+    last.destroy()
+    frequent.destroy()
     rare = words.where(_class() < F.lit(least))
     asked = scored.select("row", F.explode("rare").alias("gram")).join(rare, "gram", "left")
     more = asked.groupBy("row").agg(F.sum(F.log10((F.coalesce(F.col("n"), F.lit(0)) + ADD) / floor)).alias("more"), F.count("n").alias("known"))
