@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from evenbox.functions import geom, sizing
 from evenbox.functions.curves import hilbert_sql, hilbert_udf, lattice, z_key, z_key_sql
 from evenbox.operators import phase1, quality, router
-from evenbox.operators.learn import grow_distributed, learn
+from evenbox.operators.learn import learn, learn_distributed
 from evenbox.plans.baselines import curve_runs, fan_out, medians, quadrants, slabs, uniform
 from evenbox.plans.cut import Counters, Node, Spec, axis_order, choose_cut, correct_weights, sweep, window
 from evenbox.plans.grow import Tree, grow, plan_spec
@@ -304,7 +304,8 @@ for _d, _source in ((3, T.diagonal), (4, T.trips), (5, T.trips), (7, T.trips), (
 
 @case("layout_distributed")
 def layout_distributed(spark, sf_dir):
-    return grow_distributed(T.points(spark, sf_dir, "lineitem"), 1 << 17, ratio=0.5)
+    """Subtrees finished in tasks and hung below the first levels."""
+    return _leaves(spark, learn_distributed(T.points(spark, sf_dir, "lineitem"), 1 << 17, ratio=0.5, task_points=5000, top_points=2000).layout)
 
 
 @case("leaf_bounds_count", f"SELECT 0 AS outside, count(*) AS n FROM ({_SAMPLED})")

@@ -82,30 +82,75 @@ def learn(df: DataFrame, method: str, block: int, axes: Sequence[str] = ("x", "y
     return Learned(layout, method, n, phases["boundaries"], phases)
 
 
-def grow_distributed(df: DataFrame, block: int, axes: Sequence[str] = ("x", "y"), ratio: float = 1.0, top_points: int = 2000, variant: str = "count", alpha: float = 0.95, rho: float = 0.4, headroom: float | None = None, top_leaves: int = 8) -> DataFrame:
-    """The driver grows the first levels from a thin sample; each subtree of the full sample is finished in a task.
+#: sample points that one task finishes, and that the driver grows the first levels from
+TASK_POINTS = 1_000_000
+TOP_POINTS = 200_000
 
-    Returns the leaves: subtree, leaf, n, blo, bhi. Every subtree is repaired to a tileable size by itself.
+
+def learn_distributed(df: DataFrame, block: int, axes: Sequence[str] = ("x", "y"), ratio: float = 1.0, variant: str = "count", alpha: float = 0.95, rho: float = 0.4, headroom: float | None = None, task_points: int = TASK_POINTS, top_points: int = TOP_POINTS, seed: int = 0) -> Learned:
+    """A layout from a sample larger than one machine takes: the driver grows the first levels from a thin sample, each subtree of
+    the full sample is finished in a task, and the subtrees are hung below the first levels.
+
+    What comes back to the driver is a row for each subtree with the cuts and boxes of its partitions. With variant "bytes" a
+    sample record weighs its own bytes, scaled to those of the whole table. Every subtree is repaired to a tileable size by itself.
     """
     from evenbox.operators.router import route_points
 
+    marks = [time.perf_counter()]
     good = df.where(phase1.valid(axes))
-    row = good.agg(F.count("*").alias("n"), F.sum("bytes").alias("b")).first()
-    sample = phase1.sample_by_hash(good, ratio)
-    n = sample.count()
-    thin = phase1.sample_by_hash(sample, min(1.0, top_points / max(n, 1)), 3)
-    points, hashes, _ = phase1.to_numpy(thin, axes)
-    spec = plan_spec(variant, n, row["b"], block, None, alpha, rho, headroom)
-    thin_spec = plan_spec(variant, len(points), row["b"], block, None, alpha, rho, headroom)
-    top = grow_top(points, hashes, thin_spec, None, max(len(points) / top_leaves, thin_spec.most))
+    row = good.agg(F.count("*").alias("n"), F.coalesce(F.sum("bytes"), F.lit(0)).alias("b")).first()
+    marks.append(time.perf_counter())
     columns = [*axes, "kh"]
+    sample = phase1.sample_by_hash(good, ratio, seed).select(*columns, "bytes")
+    n, held = sample.agg(F.count("*"), F.coalesce(F.sum("bytes"), F.lit(0))).first()
+    if not n:
+        return learn(df, f"mbs_{variant}", block, axes, ratio, alpha, rho, headroom)
+    scale = row["b"] / max(held, 1)
+    leaves = max(1, ceil_div(n, task_points))
+    top = None
+    if leaves > 1:
+        points, hashes, _ = phase1.to_numpy(phase1.sample_by_hash(sample, min(1.0, top_points / n), seed + 3), axes)
+        thin = plan_spec("count" if variant == "count" else "plain", len(points), row["b"], block, None, alpha, rho, headroom)
+        top = grow_top(points, hashes, thin, None, max(len(points) / leaves, thin.most)) if len(points) > 1 else None
+    marks.append(time.perf_counter())
+    if headroom is None:
+        headroom = default_headroom(n, row["b"], block)
+    spec = plan_spec(variant, n, row["b"], block, float(row["b"]) if variant == "bytes" else None, alpha, rho, headroom)
 
     def finish(rows: pd.DataFrame) -> pd.DataFrame:
-        data = rows[columns].to_numpy(float)
+        data = rows[[*columns, "bytes"]].to_numpy(float)
         data = data[np.lexsort(data.T[::-1])]
-        layout = grow(data[:, : len(axes)], data[:, len(axes)], spec)
-        sub = int(rows["part_id"].iloc[0])
-        return pd.DataFrame({"subtree": sub, "leaf": list(layout.boxes), "n": [layout.counts[i] for i in layout.boxes], "blo": [b[0] for b in layout.boxes.values()], "bhi": [b[1] for b in layout.boxes.values()]})
-
-    routed = route_points(sample.select(*columns), top.tree, axes)
-    return routed.groupBy("part_id").applyInPandas(finish, "subtree int, leaf int, n long, blo array<double>, bhi array<double>")
+        layout = grow(data[:, : len(axes)], data[:, len(axes)], spec, data[:, -1] * scale if variant == "bytes" else None)
+        tree, ids = layout.tree, sorted(layout.boxes)
+        return pd.DataFrame([{"subtree": int(rows["part_id"].iloc[0]), "axis": tree.axis, "cut": tree.cut, "lo": tree.lo, "hi": tree.hi, "n": [layout.counts[i] for i in ids], "w": [float(layout.weights[i]) for i in ids], "blo": [layout.boxes[i][0] for i in ids], "bhi": [layout.boxes[i][1] for i in ids]}])
+
+    routed = route_points(sample, top.tree, axes) if top else sample.withColumn("part_id", F.lit(0))
+    schema = "subtree int, axis array<int>, cut array<array<double>>, lo array<int>, hi array<int>, n array<long>, w array<double>, blo array<array<double>>, bhi array<array<double>>"
+    grown = {r["subtree"]: r for r in routed.groupBy("part_id").applyInPandas(finish, schema).collect()}
+    layout = _hung(top.tree if top else Tree(), grown, len(axes), spec, f"mbs_{variant}")
+    marks.append(time.perf_counter())
+    phases = {name: b - a for name, a, b in zip(("summary", "sample", "boundaries"), marks, marks[1:], strict=False)}
+    return Learned(layout, f"mbs_{variant}", n, phases["boundaries"], phases)
+
+
+def _hung(top: Tree, grown: dict, d: int, spec, method: str) -> Layout:
+    """One tree of the first levels and the subtrees that stand in place of their leaves."""
+    tree = Tree([*top.axis], [*top.cut], [*top.lo], [*top.hi])
+    boxes, weights, counts, roots = {}, {}, {}, {}
+    for leaf in range(len(top.axis) + 1):
+        row, node, base = grown.get(leaf), len(tree.axis), len(boxes)
+        if row is None:  # no sample point came here
+            boxes[base], weights[base], counts[base], roots[leaf] = ([0.0] * d, [0.0] * d), 0.0, 0, -(base + 1)
+            continue
+        child = lambda c, node=node, base=base: c + node if c >= 0 else c - base
+        tree.axis += row["axis"]
+        tree.cut += [list(c) for c in row["cut"]]
+        tree.lo += [child(c) for c in row["lo"]]
+        tree.hi += [child(c) for c in row["hi"]]
+        for i, (n, w, lo, hi) in enumerate(zip(row["n"], row["w"], row["blo"], row["bhi"], strict=True)):
+            boxes[base + i], weights[base + i], counts[base + i] = (list(lo), list(hi)), w, n
+        roots[leaf] = node if row["axis"] else -(base + 1)
+    for side in (tree.lo, tree.hi):
+        for i in range(len(top.axis)):
+            side[i] = roots[-side[i] - 1] if side[i] < 0 else side[i]
+    return Layout(method, tree, boxes, weights, counts, Counters(), spec)

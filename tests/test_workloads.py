@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 
 from evenbox.operators import index, quality, router
 from evenbox.operators import spatial_join as sj
-from evenbox.operators.learn import learn
+from evenbox.operators.learn import learn, learn_distributed
 from evenbox.operators.meeting import meeting
 from evenbox.sources import tables as T
 
@@ -106,3 +106,18 @@ def test_one_partition_for_each_record(spark):
             own = layout.boxes[r["part_id"]]
             assert r["part_id"] in met and area(grown(own)) - area(own) == pytest.approx(best, abs=1e-12)
     assert asked.select(F.count("*")).first()[0] == found.count()
+
+
+@pytest.mark.parametrize("variant", ["count", "bytes"])
+def test_a_layout_grown_in_tasks(spark, small, tmp_path, variant):
+    """Subtrees from several tasks make one tree: every record is routed to the leaf that counted it, and the layout can be written."""
+    df = T.points(spark, small, "lineitem")
+    learned = learn_distributed(df, 1 << 13, variant=variant, headroom=0.0, task_points=1000, top_points=500)
+    layout = learned.layout
+    found = {r["part_id"]: r["n_rows"] for r in quality.manifest(router.route(df, layout)).collect()}
+    assert found == {i: n for i, n in layout.counts.items() if n} and layout.parts == len(layout.tree.axis) + 1
+    sizes = [w if variant == "bytes" else n for n, w in zip(layout.counts.values(), layout.weights.values(), strict=True)]
+    assert max(sizes) <= layout.spec.most * 1.001 and len(layout.tree.axis) > 4
+    idx = index.write_index(df, layout, f"{tmp_path}/{variant}", block=1 << 13)
+    assert idx.range_count((20000.0, 400.0), (60000.0, 1300.0)).first()["n"] == df.where("x BETWEEN 20000 AND 60000 AND y BETWEEN 400 AND 1300").count()
+    assert learn_distributed(df.where("false"), 1 << 13).layout.parts == 1
