@@ -308,6 +308,35 @@ def layout_distributed(spark, sf_dir):
     return _leaves(spark, learn_distributed(T.points(spark, sf_dir, "lineitem"), 1 << 17, ratio=0.5, task_points=5000, top_points=2000).layout)
 
 
+@case("layout_counters")
+def layout_counters(spark, sf_dir):
+    """How often each variant relaxed the window, corrected weights, cut at a tie, took another axis, or left a leaf out of bounds."""
+    df = T.points(spark, sf_dir, "documents_hash")
+    rows = [(m, name, count) for m in ("mbs_plain", "mbs_count", "mbs_bytes") for name, count in vars(learn(df, m, 1 << 17, headroom=0.0).layout.counters).items()]
+    return spark.createDataFrame(rows, "method string, counter string, times long")
+
+
+_ROUTED_DOCS = "SELECT count(*) AS n_rows, CAST(sum(bytes) AS BIGINT) AS bytes, 0 AS outside FROM"
+
+
+def _invariant(method: str, table: str, sql: str) -> None:
+    """Every record of the table is in one partition, and inside the box that was learned for it from the whole table."""
+
+    def run(spark, sf_dir):
+        df = T.points(spark, sf_dir, table)
+        layout = learn(df, method, 1 << 17, headroom=0.0).layout
+        boxes = router.box_frame(spark, layout)
+        routed = router.route(df, layout).join(boxes, "part_id", "left")
+        inside = (F.col("x") >= F.col("blo")[0]) & (F.col("x") <= F.col("bhi")[0]) & (F.col("y") >= F.col("blo")[1]) & (F.col("y") <= F.col("bhi")[1])
+        return routed.agg(F.count("*").alias("n_rows"), F.sum("bytes").alias("bytes"), F.sum(F.when(F.coalesce(inside, F.lit(False)), 0).otherwise(1)).cast("int").alias("outside"))
+
+    case(f"layout_holds_{method}", f"{_ROUTED_DOCS} ({sql})")(run)
+
+
+for _method in ("mbs_plain", "mbs_count", "mbs_bytes", "str", "kd", "quad", "grid", "rstar_insert"):
+    _invariant(_method, "documents_hash", T.points_sql("documents_hash"))
+
+
 @case("leaf_bounds_count", f"SELECT 0 AS outside, count(*) AS n FROM ({_SAMPLED})")
 def leaf_bounds_count(spark, sf_dir):
     """No leaf lies outside the bounds, and no sample point is lost."""

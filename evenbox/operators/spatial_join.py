@@ -115,7 +115,7 @@ def join_copartitioned(left: DataFrame, right: DataFrame, tree: Tree, left_keys:
     return route_points(corner, tree, ("_cx", "_cy")).where("part_id = _here").select(*left_keys, *right_keys)
 
 
-def join_broadcast(left: DataFrame, right: DataFrame, left_keys: Sequence[str], right_keys: Sequence[str], kind: str = "intersects", most: int = 10_000_000) -> DataFrame:
+def join_broadcast(left: DataFrame, right: DataFrame, left_keys: Sequence[str], right_keys: Sequence[str], kind: str = "intersects", most: int = 100_000) -> DataFrame:
     """Every left record against a small right side; refuses one of more than ``most`` rows."""
     if right.limit(most + 1).count() > most:
         raise ValueError("the right side is too large to broadcast: partition both sides")
