@@ -1,12 +1,13 @@
-"""Best-fit packing in bulk-synchronous supersteps.
+"""Best-fit packing by size classes.
 
 Documents are cut into pieces of at most ``capacity`` tokens. Pieces and gaps both have sizes in
 1..capacity, so a range-sorted corpus is described by how many pieces there are of each size: at most
-``capacity`` numbers, whatever the corpus. A superstep takes the next size downwards, finds by a
-successor sweep the smallest gap that holds it, gives the pieces of that size to the sequences of that
+``capacity`` numbers, whatever the corpus. The plan takes the next size downwards, finds by a
+successor search the smallest gap that holds it, gives the pieces of that size to the sequences of that
 gap by rank, moves those sequences to their new gap, and repeats until the size is used up; what fits
 nowhere opens sequences. That is best-fit-decreasing for all pieces at once. The plan has a
-row for each (size, run of ranks, run of sequences), a few thousand in all. The pieces find their places in
+row for each (size, run of ranks, run of sequences), a few thousand in all, and is made on the driver: sweeps over tables of
+pieces and gaps would need a round of jobs for each of up to ``capacity`` sizes to pack as tightly. The pieces find their places in
 parallel: a piece of a size and rank lies in exactly one run of the plan, found by binary search.
 
 Ranks come from a range sort by (size, document, piece): each task numbers its pieces of a size, and

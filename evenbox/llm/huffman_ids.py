@@ -8,7 +8,7 @@ for each id. On disk: ``ids`` (intermediate, dropped), ``blocks`` and ``code``,
 rows are the blocks and the code, written with Spark's own commit protocol.
 
 Defined results: a null or empty text is one document of the end id alone; repeated rows and repeated
-ids are all kept; an empty table gives an empty file; extra columns are ignored.
+ids are all kept, rows of one doc_id in any order; an empty table gives an empty file; extra columns are ignored.
 """
 
 from __future__ import annotations

@@ -2,8 +2,8 @@
 
 A file begins with a skippable frame (magic 0x184D2A5D) that holds the dictionary, as the WARC-Zstandard
 convention has it; each record is a frame of its own, so a reader can begin at any record. The dictionary
-is trained on whole records of a bounded sample of the input (``sample_bytes``, a parameter of this fit);
-every record is archived.
+is trained on whole records of a bounded sample of the input (``sample_bytes``, a parameter of this fit; pages of over 16 times
+the mean size are not taken for it); every record is archived.
 
 Of the pages with one payload the smallest page_id is a ``response``; the others are ``revisit`` records
 that name it and have no payload, but its length and digest. A task writes its file under a name of
