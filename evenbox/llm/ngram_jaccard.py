@@ -258,11 +258,11 @@ def _components(docs: DataFrame, k: int, num: int, den: int, group: int) -> Data
 
     # step 2: the token-group matrix over what is still apart
     width = first.groupBy("root").agg((F.floor((F.count("*") - 1) / group) + 1).alias("parts"))
-    joined = first.join(width, "root").select(F.col("node").alias("doc_id"), F.col("root").alias("comp"), F.xxhash64(F.lit("component"), "root").alias("e"), F.xxhash64("root", F.pmod(F.xxhash64("node"), "parts")).alias("g"))
-    lone = members.where(F.shiftrightunsigned("g", 58) == 0).join(first.select(F.col("node").alias("doc_id")), "doc_id", "left_anti").select("doc_id", "comp", F.col("g").alias("e"), "g")
+    joined = first.join(width, "root").select(F.col("node").alias("doc_id"), F.col("root").alias("comp"), F.xxhash64(F.lit("component"), "root").alias("e"), F.xxhash64("root", F.pmod(F.xxhash64("node"), "parts")).alias("g"), F.lit(False).alias("lone"))
+    lone = members.where(F.shiftrightunsigned("g", 58) == 0).join(first.select(F.col("node").alias("doc_id")), "doc_id", "left_anti").select("doc_id", "comp", F.col("g").alias("e"), "g", F.lit(True).alias("lone"))
     placed = joined.unionByName(lone).join(reps.select("doc_id", "n"), "doc_id")
     placed = scratch.write(placed, "placed")
-    entities = scratch.write(placed.groupBy("e").agg(F.min("n").alias("low"), F.max("n").alias("high"), F.min("g").alias("g"), (F.max("g") > F.min("g")).alias("wide")), "entities")
+    entities = scratch.write(placed.groupBy("e").agg(F.min("n").alias("low"), F.max("n").alias("high"), F.min("g").alias("g"), (F.max("g") > F.min("g")).alias("wide"), F.first("lone").alias("lone")), "entities")
     rows = reps.select("doc_id", F.explode("prefix").alias("token")).join(placed.select("doc_id", "e"), "doc_id")
     matrix = scratch.write(rows.select("token", "e").distinct(), "matrix")
     shared = matrix.groupBy("token").agg(F.min("e").alias("x"), F.max("e").alias("y")).where("x < y").select("token")
@@ -270,12 +270,24 @@ def _components(docs: DataFrame, k: int, num: int, den: int, group: int) -> Data
     scratch.drop("matrix")
     met = matrix.alias("a").join(matrix.alias("b"), (F.col("a.token") == F.col("b.token")) & (F.col("a.e") < F.col("b.e")))
     met = met.groupBy(F.col("a.e").alias("e1"), F.col("b.e").alias("e2")).agg(F.count("*").alias("c"))
-    side = lambda i: entities.select(*[F.col(x).alias(f"{x}{i}") for x in ("e", "low", "high", "g", "wide")])
+    side = lambda i: entities.select(*[F.col(x).alias(f"{x}{i}") for x in ("e", "low", "high", "g", "wide", "lone")])
     met = scratch.write(met.join(side(1), "e1").join(side(2), "e2").where(_reachable("low1", "high1", "low2", "high2", num, den)), "met")
     member = placed.select("g", "doc_id", "comp")
-    # one pair of groups for each pair of entities: large families of near copies join here
-    links = link_groups(docs, member, met.select("g1", "g2"), scratch, "apart", k, num, den)
     comp = placed.select("doc_id", "comp")
+    own = lambda doc: F.xxhash64(F.lit("document"), doc)
+    # two groups of documents that are in no component: their members meet by the prefix shingles they share, and only
+    # pairs of documents that can reach the threshold are opened
+    apart = met.where("lone1 and lone2").select("e1", "e2")
+    held = apart.select(F.col("e1").alias("e")).unionByName(apart.select(F.col("e2").alias("e"))).distinct()
+    cells = scratch.write(rows_of(reps, placed.join(held, "e", "left_semi"), matrix), "close-cells")
+    ends = [cells.select("token", F.col("doc_id").alias(f"d{i}"), F.col("e").alias(f"e{i}"), F.col("n").alias(f"n{i}")) for i in (1, 2)]
+    close = ends[0].join(apart, "e1").join(ends[1], ["token", "e2"]).groupBy("d1", "d2", "n1", "n2").agg(F.count("*").alias("c"))
+    close = scratch.write(close.where(_reachable("n1", "n1", "n2", "n2", num, den)).select("d1", "d2", own(F.col("d1")).alias("g1"), own(F.col("d2")).alias("g2")), "close")
+    single = close.select(F.col("g1").alias("g"), F.col("d1").alias("doc_id")).unionByName(close.select("g2", "d2").toDF("g", "doc_id")).distinct()
+    links = link_groups(docs, single.withColumn("comp", F.col("doc_id")), close.select("g1", "g2"), scratch, "lone", k, num, den)
+    scratch.drop("close-cells", "close")
+    # one pair of groups for each other pair of entities: large families of near copies join here
+    links = links.unionByName(link_groups(docs, member, met.where("not (lone1 and lone2)").select("g1", "g2"), scratch, "apart", k, num, den))
     edges = _between(links, comp)
     # the other pairs of groups, document against group, of entities that are still apart
     home = comp.join(scratch.write(connected_components(edges, scratch, "second"), "second"), comp.comp == F.col("node"), "left").select("doc_id", F.coalesce("root", "comp").alias("now"))
@@ -284,13 +296,12 @@ def _components(docs: DataFrame, k: int, num: int, den: int, group: int) -> Data
     wide = wide.join(homes.select(F.col("e").alias("e1"), F.col("home").alias("h1")), "e1", "left").join(homes.select(F.col("e").alias("e2"), F.col("home").alias("h2")), "e2", "left")
     wide = scratch.write(wide.where(~F.coalesce(F.col("h1") == F.col("h2"), F.lit(False))).select("e1", "e2", F.col("g1").alias("done1"), F.col("g2").alias("done2")), "wide")
     asked = wide.select(F.col("e1").alias("e")).unionByName(wide.select(F.col("e2").alias("e"))).distinct()
-    cells = scratch.write(reps.select("doc_id", F.explode("prefix").alias("token")).join(placed.join(asked, "e", "left_semi").select("doc_id", "e", "g", "n"), "doc_id").join(shared_tokens(matrix), "token", "left_semi"), "cells")
+    cells = scratch.write(rows_of(reps, placed.join(asked, "e", "left_semi"), matrix), "cells")
     unions = cells.groupBy("token", F.col("e").alias("e2"), F.col("g").alias("g2")).agg(F.lit(1).alias("_"))
     spans = placed.groupBy(F.col("g").alias("g2")).agg(F.min("n").alias("low2"), F.max("n").alias("high2"))
     asks = cells.select("token", F.col("doc_id").alias("q"), F.col("e").alias("e1"), F.col("g").alias("g1"), F.col("n").alias("n1")).join(wide, "e1")
     bound = asks.join(unions, ["token", "e2"]).groupBy("q", "g1", "n1", "done1", "done2", "g2").agg(F.count("*").alias("c")).join(spans, "g2")
     bound = bound.where(_reachable("n1", "n1", "low2", "high2", num, den) & ~((F.col("g1") == F.col("done1")) & (F.col("g2") == F.col("done2"))))
-    own = lambda doc: F.xxhash64(F.lit("document"), doc)
     pairs = scratch.write(bound.select(own(F.col("q")).alias("g1"), "g2", "q"), "bound")
     single = pairs.select(F.col("g1").alias("g"), F.col("q").alias("doc_id")).distinct().join(comp, "doc_id").select("g", "doc_id", "comp")
     more = link_groups(docs, member.unionByName(single), pairs.select("g1", "g2"), scratch, "wide", k, num, den)
@@ -305,8 +316,10 @@ def _components(docs: DataFrame, k: int, num: int, den: int, group: int) -> Data
     return linked.select(*columns).unionByName(bare.select(*columns))
 
 
-def shared_tokens(matrix: DataFrame) -> DataFrame:
-    return matrix.select("token").distinct()
+def rows_of(reps: DataFrame, placed: DataFrame, matrix: DataFrame) -> DataFrame:
+    """token, doc_id, e, g, n: the prefix shingles of the placed documents that several entities have."""
+    rows = reps.select("doc_id", F.explode("prefix").alias("token")).join(placed.select("doc_id", "e", "g", "n"), "doc_id")
+    return rows.join(matrix.select("token").distinct(), "token", "left_semi")
 
 
 def _reachable(low1: str, high1: str, low2: str, high2: str, num: int, den: int):
