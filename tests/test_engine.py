@@ -89,3 +89,18 @@ def test_entry(spark):
 
     assert entry.entry(spark).count() > 0
     assert set(entry.oracle_sql()) <= set(entry.queries())
+
+
+@pytest.mark.parametrize("name", ["layout_mbs_d5"])
+def test_large_samples_grow_in_tasks(spark, small, monkeypatch, name):
+    """What the driver takes in is a thin sample; the leaves still hold every point of the full one."""
+    d = int(name[-1])
+    df = (T.diagonal if d == 9 else T.trips)(spark, small, d)
+    whole = phase1.sample_by_hash(df, 0.1).count()
+    monkeypatch.setattr(learn, "DRIVER_VALUES", 50 * (d + 1))
+    monkeypatch.setattr(learn, "TASK_VALUES", 100 * (d + 1))
+    monkeypatch.setattr(learn, "TOP_VALUES", 60 * (d + 1))
+    taken, inner = [], phase1.to_numpy
+    monkeypatch.setattr(phase1, "to_numpy", lambda *a, **k: taken.append(len((out := inner(*a, **k))[0])) or out)
+    rows = workloads.queries()[name](spark, small).collect()
+    assert sum(r["n"] for r in rows) == whole and max(taken) < whole / 4
