@@ -18,10 +18,13 @@ def read_files(spark: SparkSession, path: str, schema, files_each: int = 4) -> D
 
 
 def run_to_table(stream: DataFrame, name: str, checkpoint: str, mode: str = "append") -> DataFrame:
-    """Run what is there to the end and give the result as a table in memory."""
-    query = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+    """Run what is there to the end and give the result as a table: appended rows as files beside the checkpoint, so that they never
+    come to the driver; complete and updated results, a row for each group, in memory."""
+    files = f"{checkpoint}-rows"
+    writer = stream.writeStream.queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True)
+    query = writer.format("parquet").start(files) if mode == "append" else writer.format("memory").start()
     query.awaitTermination()
-    return stream.sparkSession.table(name)
+    return stream.sparkSession.read.schema(stream.schema).parquet(files) if mode == "append" else stream.sparkSession.table(name)
 
 
 def route_stream(stream: DataFrame, tree: Tree, axes: Sequence[str] = ("x", "y")) -> DataFrame:

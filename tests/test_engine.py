@@ -1,8 +1,13 @@
 """Queries against their SQL, and layouts against brute force, on the smallest tables."""
 
+from datetime import datetime, timedelta
+
 import duckdb
 import numpy as np
+import pyarrow as pa
+import pyarrow.parquet as pq
 import pytest
+from pyspark.sql.streaming.readwriter import DataStreamWriter
 
 from evenbox import registry, workloads
 from evenbox.operators import index, learn, phase1, quality, router
@@ -104,3 +109,36 @@ def test_large_samples_grow_in_tasks(spark, small, monkeypatch, name):
     monkeypatch.setattr(phase1, "to_numpy", lambda *a, **k: taken.append(len((out := inner(*a, **k))[0])) or out)
     rows = workloads.queries()[name](spark, small).collect()
     assert sum(r["n"] for r in rows) == whole and max(taken) < whole / 4
+
+
+def test_appended_rows_of_a_stream_are_files(spark, small, duck, monkeypatch):
+    """The memory sink holds every row on the driver; only results with a row for each group may use it."""
+    kinds, inner = [], DataStreamWriter.format
+    monkeypatch.setattr(DataStreamWriter, "format", lambda self, kind: kinds.append(kind) or inner(self, kind))
+    for name in ("stream_dedup", "stream_route"):
+        found = duck.execute(registry.SQL[name])
+        names = [d[0] for d in found.description]
+        assert sorted(tuple(r[n] for n in names) for r in workloads.queries()[name](spark, small).collect()) == sorted(found.fetchall())
+    assert kinds and "memory" not in kinds
+
+
+def _events(tmp_path, rows):
+    table = pa.table({"event_id": pa.array(range(len(rows)), pa.int64()), "ts": pa.array([t for t, _ in rows], pa.timestamp("us")), "user_id": pa.array([1] * len(rows), pa.int64()), "event_type": [k for _, k in rows], "value": [1.0] * len(rows), "props": ["{}"] * len(rows)})
+    pq.write_table(table, f"{tmp_path}/events.parquet")
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW events AS SELECT * FROM '{tmp_path}/events.parquet'")
+    return con
+
+
+def test_a_gap_of_exactly_the_session_time_ends_it(spark, tmp_path):
+    at = lambda s: datetime(2024, 1, 1) + timedelta(seconds=s)
+    con = _events(tmp_path, [(at(s), "click") for s in (0, 7199, 14399, 14400)])
+    got = sorted((r["user_id"], r["s"], r["n"]) for r in workloads.queries()["win_session"](spark, str(tmp_path)).collect())
+    assert got == sorted(con.execute(registry.SQL["win_session"]).fetchall()) and len(got) == 2
+
+
+def test_stream_join_keeps_parts_of_a_second(spark, tmp_path):
+    at = lambda s: datetime(2024, 1, 1) + timedelta(seconds=s)
+    con = _events(tmp_path, [(at(10.5), "click"), (at(10.25), "purchase"), (at(10.75), "purchase"), (at(3610.5), "purchase"), (at(3610.6), "purchase")])
+    got = workloads.queries()["stream_interval_join"](spark, str(tmp_path)).first()["n"]
+    assert got == con.execute(registry.SQL["stream_interval_join"]).fetchone()[0] == 2
