@@ -142,3 +142,14 @@ def test_stream_join_keeps_parts_of_a_second(spark, tmp_path):
     con = _events(tmp_path, [(at(10.5), "click"), (at(10.25), "purchase"), (at(10.75), "purchase"), (at(3610.5), "purchase"), (at(3610.6), "purchase")])
     got = workloads.queries()["stream_interval_join"](spark, str(tmp_path)).first()["n"]
     assert got == con.execute(registry.SQL["stream_interval_join"]).fetchone()[0] == 2
+
+
+def test_small_partitions_share_folders(spark, small, tmp_path):
+    """Tasks and files of an index follow its bytes, not the number of its partitions; queries still find their records by partition."""
+    df = T.points(spark, small, "lineitem")
+    idx = index.write_index(df, learn.learn(df, "mbs_count", 1 << 12).layout, f"{tmp_path}/many", block=1 << 12)
+    assert idx.manifest().count() > 100 and len(list((tmp_path / "many" / "data").rglob("*.parquet"))) == 1
+    lo, hi = (20000.0, 400.0), (60000.0, 1300.0)
+    want = df.where("x BETWEEN 20000 AND 60000 AND y BETWEEN 400 AND 1300").count()
+    assert idx.range(lo, hi).count() == idx.range_count(lo, hi).first()["n"] == want > 0
+    assert idx.data().columns == [*df.columns, "part_id"] and index.Index(spark, f"{tmp_path}/many").range(lo, hi).count() == want
