@@ -11,6 +11,7 @@ from pyspark.sql.streaming.readwriter import DataStreamWriter
 
 from evenbox import registry, workloads
 from evenbox.operators import index, learn, phase1, quality, router
+from evenbox.plans.baselines import curve_runs
 from evenbox.plans.cut import Spec
 from evenbox.plans.grow import grow
 from evenbox.sources import tables as T
@@ -153,3 +154,13 @@ def test_small_partitions_share_folders(spark, small, tmp_path):
     want = df.where("x BETWEEN 20000 AND 60000 AND y BETWEEN 400 AND 1300").count()
     assert idx.range(lo, hi).count() == idx.range_count(lo, hi).first()["n"] == want > 0
     assert idx.data().columns == [*df.columns, "part_id"] and index.Index(spark, f"{tmp_path}/many").range(lo, hi).count() == want
+
+
+@pytest.mark.parametrize("name", ["hilbert_pack", "z_partitions"])
+def test_curve_cuts_of_a_whole_table_need_no_points_on_the_driver(spark, small, monkeypatch, name):
+    points = phase1.to_numpy(T.points(spark, small, "events"), ("x", "y"))[0]
+    method = name.split("_")[0]
+    for parts in (1, 7, 20, 2000):
+        assert learn.curve_runs_of(T.points(spark, small, "events"), parts, method, 10).cuts == curve_runs(points, parts, method, 10).cuts
+    monkeypatch.setattr(phase1, "DRIVER_POINTS", 100)
+    assert workloads.queries()[name](spark, small).agg({"n": "sum"}).first()[0] == len(points)
