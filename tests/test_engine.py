@@ -164,3 +164,19 @@ def test_curve_cuts_of_a_whole_table_need_no_points_on_the_driver(spark, small,
         assert learn.curve_runs_of(T.points(spark, small, "events"), parts, method, 10).cuts == curve_runs(points, parts, method, 10).cuts
     monkeypatch.setattr(phase1, "DRIVER_POINTS", 100)
     assert workloads.queries()[name](spark, small).agg({"n": "sum"}).first()[0] == len(points)
+
+
+TABLED = ["capacity_grid", "kd_depth", "regions_cover", "sample_need_grid", "size_validity_grid", "sql_surface", "str_fanout", "threshold_grid", "udtf_valid_ranges"]
+
+
+@pytest.mark.parametrize("name", [*TABLED, "capacity_spec", "source_diagonal"])
+def test_sizes_come_from_a_given_table(spark, small, duck, monkeypatch, name):
+    """Each reads a table with Spark, and gives what its SQL gives on it."""
+    read, inner = [], T.load
+    monkeypatch.setattr(T, "load", lambda spark, sf_dir, table: read.append(table) or inner(spark, sf_dir, table))
+    frame = workloads.queries()[name](spark, small)
+    assert read and frame.count()
+    if name in TABLED:
+        test_against_sql(spark, small, duck, name)
+    if name == "source_diagonal":
+        assert frame.count() == inner(spark, small, "orders").count()
