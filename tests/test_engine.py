@@ -180,3 +180,11 @@ def test_sizes_come_from_a_given_table(spark, small, duck, monkeypatch, name):
         test_against_sql(spark, small, duck, name)
     if name == "source_diagonal":
         assert frame.count() == inner(spark, small, "orders").count()
+
+
+@pytest.mark.parametrize("name", ["knn", "knn_join"])
+def test_neighbours_of_more_points_than_the_driver_takes(spark, small, duck, monkeypatch, name):
+    monkeypatch.setattr(phase1, "DRIVER_POINTS", 1000)
+    for limit, points in (("DRIVER_VALUES", 1000), ("TASK_VALUES", 300), ("TOP_VALUES", 300)):
+        monkeypatch.setattr(learn, limit, points * 3)
+    test_against_sql(spark, small, duck, name)
