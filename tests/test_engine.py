@@ -11,6 +11,7 @@ from pyspark.sql.streaming.readwriter import DataStreamWriter
 
 from evenbox import registry, workloads
 from evenbox.operators import index, learn, phase1, quality, router
+from evenbox.operators.meeting import CellGrid, meeting
 from evenbox.plans.baselines import curve_runs
 from evenbox.plans.cut import Spec
 from evenbox.plans.grow import grow
@@ -188,3 +189,21 @@ def test_neighbours_of_more_points_than_the_driver_takes(spark, small, duck, mon
     for limit, points in (("DRIVER_VALUES", 1000), ("TASK_VALUES", 300), ("TOP_VALUES", 300)):
         monkeypatch.setattr(learn, limit, points * 3)
     test_against_sql(spark, small, duck, name)
+
+
+def test_boxes_that_cover_an_axis_get_few_cells(spark):
+    """Partitions dealt by hash all cover the whole extent; they meet in one cell, not in every one."""
+    boxes = spark.createDataFrame([(i, 0.0, 0.0, 0.0, 1.0, 1.0, i + 1.0) for i in range(400)], "part_id int, lo_x double, lo_y double, lo_z double, hi_x double, hi_y double, hi_z double")
+    grid = CellGrid(boxes, ["lo_x", "lo_y"], ["hi_x", "hi_y"])
+    assert grid.dealt(boxes, ["lo_x", "lo_y"], ["hi_x", "hi_y"], "a").count() == 400
+    other = boxes.toDF("part_b", *[f"{c}_b" for c in boxes.columns[1:]])
+    sides = []
+    for end in ("", "_b"):
+        sides.append(([f"lo_{a}{end}" for a in "xyz"], [f"hi_{a}{end}" for a in "xyz"]))
+    assert meeting(boxes, other, *sides).count() == 400 * 400
+
+
+def test_controls_place_every_record(spark, small):
+    rows = {r["method"]: r for r in workloads.queries()["control_layouts"](spark, small).collect()}
+    assert set(rows) == {"hash", "round_robin", "range", "grid", "mbs_count"}
+    assert rows["round_robin"]["deviation"] < 0.05 * (1 << 16) and rows["range"]["parts"] == rows["hash"]["parts"] == 10
