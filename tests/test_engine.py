@@ -98,7 +98,7 @@ def test_entry(spark):
     assert set(entry.oracle_sql()) <= set(entry.queries())
 
 
-@pytest.mark.parametrize("name", ["layout_mbs_d5"])
+@pytest.mark.parametrize("name", ["layout_mbs_d5", "layout_mbs_d7", "layout_mbs_d9"])
 def test_large_samples_grow_in_tasks(spark, small, monkeypatch, name):
     """What the driver takes in is a thin sample; the leaves still hold every point of the full one."""
     d = int(name[-1])
