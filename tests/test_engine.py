@@ -11,6 +11,7 @@ from pyspark.sql.streaming.readwriter import DataStreamWriter
 
 from evenbox import registry, workloads
 from evenbox.operators import index, learn, phase1, quality, router
+from evenbox.operators import spatial_join as sj
 from evenbox.operators.meeting import CellGrid, meeting
 from evenbox.plans.baselines import curve_runs
 from evenbox.plans.cut import Spec
@@ -207,3 +208,38 @@ def test_controls_place_every_record(spark, small):
     rows = {r["method"]: r for r in workloads.queries()["control_layouts"](spark, small).collect()}
     assert set(rows) == {"hash", "round_robin", "range", "grid", "mbs_count"}
     assert rows["round_robin"]["deviation"] < 0.05 * (1 << 16) and rows["range"]["parts"] == rows["hash"]["parts"] == 10
+
+
+def test_join_routes_no_more_copies_than_boxes_need(spark, small, monkeypatch):
+    """Wide boxes over a tree of many narrow regions: copies grow with the boxes, not with the regions that they cover."""
+    left, right = T.segments(spark, small), T.hour_boxes(spark, small)
+    points = left.selectExpr("(x1 + x2) / 2 AS x", "(y1 + y2) / 2 AS y", "CAST(100 AS BIGINT) AS bytes", f"{T.key_hash('event_id')} AS kh")
+    tree = learn.learn(points, "mbs_count", 1 << 9).layout.tree
+    made, inner = [], sj.route_boxes
+    monkeypatch.setattr(sj, "route_boxes", lambda df, *a, **k: made.append((df, inner(df, *a, **k))) or made[-1][1])
+    got = sorted(map(tuple, sj.join_copartitioned(left, right, tree, ("event_id",), ("event_type", "hour")).collect()))
+    assert len(tree.axis) > 150 and all(copies.count() <= 6 * df.count() for df, copies in made)
+    assert got == sorted(map(tuple, sj.join_broadcast(left, right, ("event_id",), ("event_type", "hour")).collect()))
+
+
+def test_boxes_are_routed_alike_by_arrow(spark):
+    random = np.random.default_rng(1)
+    points = np.round(random.random((400, 2)), 1)
+    tree = grow(points, random.random(400), Spec("count", 19, 21)).tree
+    df = spark.createDataFrame([(i, *p.tolist(), *(p + 0.25).tolist()) for i, p in enumerate(points)], "id long, x1 double, y1 double, x2 double, y2 double")
+    by = [sorted((r["id"], r["part_id"]) for r in router.route_boxes(df, tree, ("x1", "y1"), ("x2", "y2"), mode).collect()) for mode in ("tree", "arrow")]
+    assert by[0] == by[1] and len(by[0]) > 400
+
+
+@pytest.mark.parametrize(("kind", "side"), [("within", "a"), ("contains", "b")])
+def test_records_go_only_where_a_box_can_hold_them(spark, small, monkeypatch, kind, side):
+    """A record that another has to hold is looked for in the partitions that hold it, in one cell of each."""
+    big = T.segments(spark, small)
+    df = {"a": T.hour_boxes(spark, small), "b": T.hour_boxes(spark, small)} | {side: big}
+    sides = [df[s].selectExpr("*", "CAST(100 AS BIGINT) AS bytes", f"CAST({k} % 7 AS INT) AS part_id") for s, k in (("a", "event_id" if side == "a" else "hour"), ("b", "event_id" if side == "b" else "hour"))]
+    keys = [("event_id",) if s == side else ("event_type", "hour") for s in "ab"]
+    dealt, inner = [], CellGrid.placed
+    monkeypatch.setattr(CellGrid, "placed", lambda self, boxes, lo, tag: dealt.append((tag, boxes)) or inner(self, boxes, lo, tag))
+    got = sorted(map(tuple, sj.spatial_join(*sides, kind, left_keys=keys[0], right_keys=keys[1]).collect()))
+    assert got == sorted(map(tuple, sj.join_broadcast(*sides, keys[0], keys[1], kind).collect())) and got
+    assert [tag for tag, _ in dealt] == [side] and dealt[0][1].count() <= 7 * big.count()
