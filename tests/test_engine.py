@@ -13,6 +13,7 @@ from evenbox import registry, workloads
 from evenbox.operators import index, learn, phase1, quality, router
 from evenbox.operators import spatial_join as sj
 from evenbox.operators.meeting import CellGrid, meeting
+from evenbox.plans import baselines
 from evenbox.plans.baselines import curve_runs
 from evenbox.plans.cut import Spec
 from evenbox.plans.grow import grow
@@ -243,3 +244,33 @@ def test_records_go_only_where_a_box_can_hold_them(spark, small, monkeypatch, ki
     got = sorted(map(tuple, sj.spatial_join(*sides, kind, left_keys=keys[0], right_keys=keys[1]).collect()))
     assert got == sorted(map(tuple, sj.join_broadcast(*sides, keys[0], keys[1], kind).collect())) and got
     assert [tag for tag, _ in dealt] == [side] and dealt[0][1].count() <= 7 * big.count()
+
+
+def test_medians_sort_only_points_that_tie(monkeypatch):
+    """Half of a node's points is found by selection: the cuts are those of the whole order, without ordering all points at each level."""
+    random = np.random.default_rng(2)
+    points, hashes = np.column_stack([random.random(4000), np.floor(random.random(4000) * 500)]), random.random(4000)
+    sorted_points, inner = [], baselines.axis_order
+    monkeypatch.setattr(baselines, "axis_order", lambda p, h, a: sorted_points.append(len(p)) or inner(p, h, a))
+    layout = baselines.medians(points, hashes, 64)
+    first = inner(points, hashes, 0)[1999]
+    assert layout.tree.cut[0] == [*points[first], hashes[first]] and set(layout.counts.values()) == {62, 63}
+    assert sum(sorted_points) < len(points)
+
+
+def test_few_pairs_of_queries_and_partitions_are_sent_to_the_records(spark, small, tmp_path):
+    """A batch does not shuffle the stored records, whatever Spark's own limit of a broadcast is; beyond SENT_PAIRS it may."""
+    df = T.points(spark, small, "lineitem")
+    idx = index.write_index(df, learn.learn(df, "mbs_count", 1 << 14).layout, f"{tmp_path}/batch", block=1 << 14)
+    asked = index.grid_queries(spark, (900.0, 0.0), (105000.0, 2600.0), 100, 0.001)
+    limit = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        batch = idx.range_batch(asked)
+        plan, n = batch._jdf.queryExecution().executedPlan().toString(), batch.count()
+        index.SENT_PAIRS, most = 0, index.SENT_PAIRS
+        assert idx.range_batch(asked).count() == n > 0
+        index.SENT_PAIRS = most
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", limit)
+    assert "BroadcastHashJoin" in plan
