@@ -1,6 +1,8 @@
 """Queries against their SQL, and layouts against brute force, on the smallest tables."""
 
+import threading
 from datetime import datetime, timedelta
+from functools import partial
 
 import duckdb
 import numpy as np
@@ -10,6 +12,7 @@ import pytest
 from pyspark.sql.streaming.readwriter import DataStreamWriter
 
 from evenbox import registry, workloads
+from evenbox.cases import query_cases
 from evenbox.operators import index, learn, phase1, quality, router
 from evenbox.operators import spatial_join as sj
 from evenbox.operators.meeting import CellGrid, meeting
@@ -274,3 +277,36 @@ def test_few_pairs_of_queries_and_partitions_are_sent_to_the_records(spark, smal
     finally:
         spark.conf.set("spark.sql.autoBroadcastJoinThreshold", limit)
     assert "BroadcastHashJoin" in plan
+
+
+def test_a_sample_of_one_task_grows_there(spark, small, monkeypatch):
+    """Too much for the driver, but no more than one task takes: there are no first levels."""
+    df = T.points(spark, small, "lineitem")
+    want = learn.learn(df, "mbs_count", 1 << 14).layout
+    monkeypatch.setattr(learn, "DRIVER_VALUES", 1000)
+    got = learn.learn(df, "mbs_count", 1 << 14).layout
+    assert got.boxes == want.boxes and got.counters == want.counters
+
+
+def test_measures_of_layouts_are_computed_side_by_side(spark, monkeypatch):
+    """Chains of short jobs overlap; rows keep their order."""
+    waiting = threading.Barrier(3, timeout=60)
+
+    def row(i):
+        waiting.wait()  # passes only if three are under way
+        return spark.range(1).selectExpr(f"{i} AS i")
+
+    assert [r["i"] for r in query_cases._all([partial(row, i) for i in range(3)]).collect()] == [0, 1, 2]
+
+
+@pytest.mark.parametrize("method", ["z", "hilbert"])
+def test_many_curve_cuts_are_not_compared_one_by_one(spark, small, monkeypatch, method):
+    df = T.points(spark, small, "lineitem")
+    layout = learn.learn(df, method, 1 << 12).layout
+    routed = router.route(df, layout)
+    assert len(layout.cuts) > router.CURVE_CUTS and "filter(" not in routed._jdf.queryExecution().optimizedPlan().toString()
+    got = sorted((*(r[k] for k in T.LINE_KEYS), r["part_id"]) for r in routed.collect())
+    monkeypatch.setattr(router, "CURVE_CUTS", len(layout.cuts))
+    plain = router.route(df, layout)
+    assert got == sorted((*(r[k] for k in T.LINE_KEYS), r["part_id"]) for r in plain.collect())
+    assert plain.schema["part_id"].dataType == routed.schema["part_id"].dataType
