@@ -118,6 +118,16 @@ def test_large_samples_grow_in_tasks(spark, small, monkeypatch, name):
     assert sum(r["n"] for r in rows) == whole and max(taken) < whole / 4
 
 
+def test_first_levels_of_a_tenth_come_from_a_thin_sample_of_it(spark, monkeypatch):
+    """Another turn of the key hash had no row in common with the tenth, so one task grew all of it."""
+    df = spark.range(20000).selectExpr("CAST(id * 7919 % 10007 AS DOUBLE) AS x", "CAST(id * 104729 % 10009 AS DOUBLE) AS y", "100L AS bytes", "CAST(id * 48271 % 1000003 AS DOUBLE) / 1000003 AS kh")
+    tops, inner = [], learn.grow_top
+    monkeypatch.setattr(learn, "grow_top", lambda *a: tops.append(inner(*a)) or tops[-1])
+    layout = learn.learn_distributed(df, 1 << 13, ratio=0.1, task_points=200, top_points=40).layout
+    assert len(tops) == 1 and tops[0].parts >= 5 and layout.parts > tops[0].parts
+    assert sum(layout.counts.values()) == phase1.sample_by_hash(df, 0.1).count()
+
+
 def test_appended_rows_of_a_stream_are_files(spark, small, duck, monkeypatch):
     """The memory sink holds every row on the driver; only results with a row for each group may use it."""
     kinds, inner = [], DataStreamWriter.format
