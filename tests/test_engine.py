@@ -128,6 +128,16 @@ def test_first_levels_of_a_tenth_come_from_a_thin_sample_of_it(spark, monkeypatc
     assert sum(layout.counts.values()) == phase1.sample_by_hash(df, 0.1).count()
 
 
+def test_filters_on_the_diagonal_do_not_make_its_axes_again(spark, small, duck):
+    """Eighteen copies of the axes' expressions in one filter were too long to be compiled."""
+    axes = [f"a{i}" for i in range(9)]
+    df = T.diagonal(spark, small, 9)
+    plan = df.where(phase1.valid(axes))._jdf.queryExecution().optimizedPlan().toString()
+    assert not [line for line in plan.splitlines() if "Filter" in line and "CASE" in line]
+    want = duck.sql(f"SELECT {', '.join(T.LINE_KEYS)}, {', '.join(f'CAST({x} AS DOUBLE)' for x in T.diagonal_sql(9))}, {T.key_hash(*T.LINE_KEYS)} FROM lineitem").fetchall()
+    assert sorted(want) == sorted(tuple(r) for r in df.drop("bytes").collect())
+
+
 def test_appended_rows_of_a_stream_are_files(spark, small, duck, monkeypatch):
     """The memory sink holds every row on the driver; only results with a row for each group may use it."""
     kinds, inner = [], DataStreamWriter.format

@@ -5,7 +5,7 @@ from hypothesis import strategies as st
 
 from evenbox.functions.sizing import cut_ranges, fits
 from evenbox.plans.baselines import curve_runs, fan_out, medians, quadrants, slabs, uniform
-from evenbox.plans.cut import Counters, Node, Spec, allowed, axis_order, choose_cut, correct_weights, sweep
+from evenbox.plans.cut import Counters, Node, Spec, allowed, axis_order, choose_cut, correct_weights, margins, sweep
 from evenbox.plans.grow import grow, plan_spec
 from evenbox.plans.rstar_insert import rstar_insert
 
@@ -124,3 +124,15 @@ def test_weighted_sides_fit():
     k = np.flatnonzero(ok) + 1
     assert all(fits(1000.0 * i, spec.least, spec.most) and fits(1000.0 * (100 - i), spec.least, spec.most) for i in k)
     assert sweep(points, axis_order(points, hashes, 0)).area.shape == (99,)
+
+
+@pytest.mark.parametrize("d", [2, 7, 9])
+def test_orders_handed_down_and_margins_of_a_window(d):
+    """As sorting again and as the whole sweep, exact copies included."""
+    points, hashes = cloud(300, d, coincident=True)
+    hashes[100:140] = hashes[100]
+    node = Node(np.arange(300), points, points, hashes, np.ones(300))
+    order = node.order(1)
+    assert (margins(points, order, 120, 180) == sweep(points, order).margin[119:180]).all()
+    for half in node.halves(order, 130, np.ones(300)):
+        assert all((half.order(a) == axis_order(half.raw, half.hashes, a)).all() for a in range(d))
