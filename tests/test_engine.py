@@ -138,6 +138,16 @@ def test_filters_on_the_diagonal_do_not_make_its_axes_again(spark, small, duck):
     assert sorted(want) == sorted(tuple(r) for r in df.drop("bytes").collect())
 
 
+def test_scale_up_routes_each_share_once(spark, small, monkeypatch):
+    """Three widths of the shuffle have the same routed records, and all of them."""
+    calls, inner = [], router.route
+    monkeypatch.setattr(router, "route", lambda *a, **k: calls.append(a) or inner(*a, **k))
+    rows = workloads.queries()["scale_up"](spark, small).collect()
+    points = T.points(spark, small, "lineitem")
+    assert [(r["share"], r["width"], r["n"]) for r in rows] == [(s, w, phase1.sample_by_hash(points, s, 5).count()) for s in (0.25, 0.5, 1.0) for w in (1, 4, 8)]
+    assert len(calls) == 3 and all(r["route_seconds"] > 0 for r in rows) and len({(r["share"], r["parts"]) for r in rows}) == 3
+
+
 def test_appended_rows_of_a_stream_are_files(spark, small, duck, monkeypatch):
     """The memory sink holds every row on the driver; only results with a row for each group may use it."""
     kinds, inner = [], DataStreamWriter.format
