@@ -28,7 +28,7 @@ from evenbox.llm.scratch import Scratch, shuffle_width
 MAX_BITS = 16
 STRIDE = 64
 BLOCK_IDS = 1 << 16
-ENCODE_ROWS = 512
+ENCODE_ROWS = 2048
 
 
 # --- the code -----------------------------------------------------------------------------------

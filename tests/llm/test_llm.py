@@ -64,6 +64,27 @@ def test_added_tokens_are_those_of_the_file(name):
         assert np.frombuffer(ids, own.dtype).tolist() == fresh.encode(text or "", add_special_tokens=False).ids
 
 
+@pytest.mark.parametrize("name", ["byte_bpe_50k.json", "word_bpe_49k.json"])
+def test_a_repeated_piece_is_looked_up_once_for_a_call(name):
+    class Counted(dict):
+        asked = 0
+
+        def get(self, *key):
+            Counted.asked += 1
+            return super().get(*key)
+
+        def __getitem__(self, key):
+            Counted.asked += 1
+            return super().__getitem__(key)
+
+    own = CorpusEncoder(name)
+    own._known = Counted()
+    texts = ["once and, again " * 300 + "end", "again once and, once"] * 20
+    for text, ids in zip(texts, own.encode_many(texts), strict=True):
+        assert np.frombuffer(ids, own.dtype).tolist() == own.library.encode(text, add_special_tokens=False).ids
+    assert 0 < Counted.asked < 20
+
+
 def test_added_tokens_in_the_operators(spark):
     import public_tokenizers
     from tokenizers import Tokenizer
