@@ -198,6 +198,26 @@ def test_jaccard_on_a_family_larger_than_a_group(spark):
     assert got == brute_components(dict(rows), 4, 85, 100)
 
 
+def test_groups_hold_sizes_that_can_link(spark):
+    # one min-hash for all: sets of very different sizes are in no group together, and close ones are
+    sizes = {d: n for d, n in enumerate([5, 5, 6, 40, 41, 44, 400, 401, 4000])}
+    reps = spark.createDataFrame([(d, n, [7, 7]) for d, n in sizes.items()], "doc_id long, n long, sketch array<long>").coalesce(1)
+    groups: dict[int, list[int]] = {}
+    for r in ngram_jaccard.similar_groups(reps, 0, 32, 85, 100).collect():
+        groups.setdefault(r["g"], []).append(sizes[r["doc_id"]])
+    assert all(100 * min(g) >= 85 * max(g) for g in groups.values())
+    assert sum(map(len, groups.values())) == len(sizes)
+
+
+def test_jaccard_of_sizes_at_the_threshold(spark):
+    # 20 shingles and 17 of them, 6 and 7, 100 and 85, beside sets just below; every text begins alike, so min-hashes are shared
+    word = lambda i: f"w{i:03d}"
+    texts = [" ".join(word(family * 500 + i) for i in range(n + 3)) for family, sizes in enumerate([(20, 17, 16), (7, 6, 5), (100, 85, 84), (300, 260, 221)]) for n in sizes]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = [r["component_id"] for r in sorted(ngram_jaccard.jaccard_components(df, 4, 85, 100, group=2).collect(), key=lambda r: r["doc_id"])]
+    assert got == [0, 0, 0, 3, 3, 5, 6, 6, 6, 9, 9, 9]
+
+
 def test_components(spark):
     edges = spark.createDataFrame([(i, i + 1) for i in range(40)] + [(100, 101), (101, 100), (7, 7), (100, 102)], "a long, b long")
     got = {r["node"]: r["root"] for r in connected_components(edges, Scratch(spark, "cc"), "t").collect()}
