@@ -226,6 +226,13 @@ def test_neighbours_of_more_points_than_the_driver_takes(spark, small, duck, mon
     test_against_sql(spark, small, duck, name)
 
 
+def test_knn_join_asks_for_every_order(spark, small, duck):
+    """No order is left out, neither by the query nor by its SQL."""
+    got = sorted((r["qid"], r["o_orderkey"], r["rank"]) for r in workloads.queries()["knn_join"](spark, small).collect())
+    assert len({q for q, *_ in got}) == T.load(spark, small, "orders").count()
+    assert got == sorted(duck.execute(registry.SQL["knn_join"]).fetchall())
+
+
 def test_boxes_that_cover_an_axis_get_few_cells(spark):
     """Partitions dealt by hash all cover the whole extent; they meet in one cell, not in every one."""
     boxes = spark.createDataFrame([(i, 0.0, 0.0, 0.0, 1.0, 1.0, i + 1.0) for i in range(400)], "part_id int, lo_x double, lo_y double, lo_z double, hi_x double, hi_y double, hi_z double")
