@@ -233,6 +233,54 @@ def test_knn_join_asks_for_every_order(spark, small, duck):
     assert got == sorted(duck.execute(registry.SQL["knn_join"]).fetchall())
 
 
+@pytest.mark.parametrize("d", [2, 5])
+@pytest.mark.parametrize("method", learn.BASELINES)
+def test_baselines_of_many_points_are_cut_on_the_executors(spark, small, monkeypatch, method, d):
+    """The same layout as on the driver, which takes no points."""
+    df, axes = (T.points(spark, small, "lineitem"), ["x", "y"]) if d == 2 else (T.trips(spark, small, d), [f"a{i}" for i in range(d)])
+    want = learn.learn(df, method, 1 << 15, axes, ratio=0.5).layout
+    monkeypatch.setattr(learn, "DRIVER_VALUES", 1000)
+    monkeypatch.setattr(learn, "SHARE_VALUES", 600 * (d + 1))
+    monkeypatch.setattr(phase1, "to_numpy", None)
+    got = learn.learn(df, method, 1 << 15, axes, ratio=0.5).layout
+    assert got.parts == want.parts > 10 and got.extent(d) == want.extent(d)
+    if method in ("z", "hilbert"):
+        assert got.cuts == want.cuts
+    else:
+        assert (got.tree, got.boxes, got.counts) == (want.tree, want.boxes, want.counts)
+
+
+@pytest.mark.parametrize("name", ["multidim_diagonal", "multidim_trips"])
+def test_dimensions_need_no_points_on_the_driver(spark, small, monkeypatch, name):
+    """Measures do not depend on where the boundaries are made."""
+    monkeypatch.setattr(query_cases, "STUDY", ("str", "kd", "z"))
+    tables = {"multidim_diagonal": (3, T.diagonal), "multidim_trips": (7, T.trips)}[name]
+    rows = lambda: [r.asDict() for r in query_cases._dimensions(spark, name, [(tables[0], tables[1](spark, small, tables[0]))], 1 << 15, 0.5).collect()]
+    want = {r["method"]: r for r in rows()}
+    monkeypatch.setattr(learn, "DRIVER_VALUES", 1000)
+    monkeypatch.setattr(phase1, "DRIVER_POINTS", 2000)  # the sample has some 3,000
+    for row in rows():
+        if row["method"] != "mbs_count":  # its first levels are grown from a thin sample
+            assert {k: v for k, v in row.items() if "seconds" not in k} == pytest.approx({k: v for k, v in want[row["method"]].items() if "seconds" not in k})
+
+
+@pytest.mark.parametrize("d", [2, 5])
+def test_overlap_of_crowded_cells(spark, monkeypatch, d):
+    """Many boxes in one cell: their pairs are made in blocks, each once."""
+    random = np.random.default_rng(3)
+    low = random.random((300, d))
+    high, blocks = np.minimum(1, low + random.random((300, d)) * 0.4), random.integers(1, 4, 300)
+    low[:100], high[:100] = 0, 1
+    axes = list("xyzuv")[:d]
+    man = spark.createDataFrame([(i, int(blocks[i]), *low[i].tolist(), *high[i].tolist()) for i in range(300)], f"part_id int, blocks long, {', '.join(f'lo_{a} double' for a in axes)}, {', '.join(f'hi_{a} double' for a in axes)}")
+    want = sum(blocks[i] * (blocks[i] - 1) / 2 * np.prod(high[i] - low[i]) for i in range(300))
+    want += sum((blocks[i] * blocks[i + 1 :] * np.maximum(np.minimum(high[i], high[i + 1 :]) - np.maximum(low[i], low[i + 1 :]), 0).prod(axis=1)).sum() for i in range(299))
+    for crowded in (40, 10_000):
+        monkeypatch.setattr(quality, "CROWDED", crowded)
+        assert quality.total_overlap(man, axes).first()[0] == pytest.approx(want)
+        assert quality.total_overlap(man, axes, ordered=True).first()[0] > want
+
+
 def test_boxes_that_cover_an_axis_get_few_cells(spark):
     """Partitions dealt by hash all cover the whole extent; they meet in one cell, not in every one."""
     boxes = spark.createDataFrame([(i, 0.0, 0.0, 0.0, 1.0, 1.0, i + 1.0) for i in range(400)], "part_id int, lo_x double, lo_y double, lo_z double, hi_x double, hi_y double, hi_z double")
