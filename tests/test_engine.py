@@ -281,6 +281,18 @@ def test_overlap_of_crowded_cells(spark, monkeypatch, d):
         assert quality.total_overlap(man, axes, ordered=True).first()[0] > want
 
 
+def test_controls_need_no_points_on_the_driver(spark, small, monkeypatch):
+    """Ranges and the grid are cut on the executors too, and lie where they did."""
+    sample = phase1.sample_by_hash(T.points(spark, small, "lineitem"), 0.2)
+    assert learn.runs_of(sample, 10) == baselines.runs(*phase1.to_numpy(sample, ("x", "y"))[:2], 10).tree
+    want = {r["method"]: r for r in workloads.queries()["control_layouts"](spark, small).collect()}
+    monkeypatch.setattr(learn, "DRIVER_VALUES", 1000)
+    monkeypatch.setattr(phase1, "DRIVER_POINTS", 1000)  # the sample has some 1,200
+    got = {r["method"]: r for r in workloads.queries()["control_layouts"](spark, small).collect()}
+    for method in ("hash", "range", "grid"):
+        assert got[method].asDict() == pytest.approx(want[method].asDict())
+
+
 def test_boxes_that_cover_an_axis_get_few_cells(spark):
     """Partitions dealt by hash all cover the whole extent; they meet in one cell, not in every one."""
     boxes = spark.createDataFrame([(i, 0.0, 0.0, 0.0, 1.0, 1.0, i + 1.0) for i in range(400)], "part_id int, lo_x double, lo_y double, lo_z double, hi_x double, hi_y double, hi_z double")
